@@ -1 +1 @@
-
+"""Where grids come from: tables, raw files, formulas, archives."""

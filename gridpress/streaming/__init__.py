@@ -1 +1,115 @@
+"""Slabs of a time grid from streams: windows, late rows, incremental Grams, slab compression."""
 
+from __future__ import annotations
+
+from collections.abc import Callable, Iterator
+
+import numpy as np
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
+
+from gridpress.operators.codec import Archive, compress_array
+from gridpress.plans.grid import GridSpec
+from gridpress.plans.targets import ErrorTarget
+
+EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
+
+
+def event_stream(spark: SparkSession, folder: str, per_trigger: int = 1) -> DataFrame:
+    """Event files of a folder as a stream; times are taken as UTC timestamps."""
+    raw = spark.readStream.schema(EVENTS).option("maxFilesPerTrigger", per_trigger).parquet(folder)
+    return raw.withColumn("ts", F.col("ts").cast("timestamp"))
+
+
+def cents(df: DataFrame) -> DataFrame:
+    return df.withColumn("cents", F.round(F.col("value") * 100).cast("long"))
+
+
+def tumbling(df: DataFrame, width: str = "1 hour", late: str | None = "1 hour") -> DataFrame:
+    """Cells of time slabs: (start, type, n, cents)."""
+    df = df.withWatermark("ts", late) if late else df
+    return cents(df).groupBy(F.window("ts", width).alias("w"), "event_type").agg(F.count("*").alias("n"), F.sum("cents").alias("cents")).select(F.col("w.start").alias("start"), "event_type", "n", "cents")
+
+
+def sliding(df: DataFrame, width: str = "2 hours", step: str = "1 hour", late: str | None = "1 hour") -> DataFrame:
+    df = df.withWatermark("ts", late) if late else df
+    return cents(df).groupBy(F.window("ts", width, step).alias("w")).agg(F.count("*").alias("n"), F.sum("cents").alias("cents")).select(F.col("w.start").alias("start"), "n", "cents")
+
+
+def sessions(df: DataFrame, gap: str = "30 minutes", late: str | None = "1 hour") -> DataFrame:
+    df = df.withWatermark("ts", late) if late else df
+    return cents(df).groupBy(F.session_window("ts", gap).alias("w"), "user_id").agg(F.count("*").alias("n"), F.sum("cents").alias("cents")).select("user_id", F.col("w.start").alias("start"), F.col("w.end").alias("end"), "n", "cents")
+
+
+def deduplicated(df: DataFrame, late: str = "1 hour") -> DataFrame:
+    return df.withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
+
+
+def clicks_to_purchases(df: DataFrame, right: DataFrame, within: str = "1 hour") -> DataFrame:
+    """Stream-stream interval join: purchases within a time after a click of the same user."""
+    c = df.where("event_type = 'click'").select(F.col("user_id").alias("cu"), F.col("ts").alias("ct"), F.col("event_id").alias("click_id")).withWatermark("ct", "2 hours")
+    p = right.where("event_type = 'purchase'").select("user_id", F.col("ts").alias("pt"), F.col("event_id").alias("purchase_id")).withWatermark("pt", "2 hours")
+    return c.join(p, F.expr(f"cu = user_id AND pt >= ct AND pt <= ct + INTERVAL {within}")).select("click_id", "purchase_id", "user_id")
+
+
+class GramState(StatefulProcessor):
+    """Gram of a mode added up over slabs: state is one matrix for each mode."""
+
+    def __init__(self, size: int):
+        self.size = size
+
+    def init(self, handle: StatefulProcessorHandle) -> None:
+        self.state = handle.getValueState("gram", "g binary, slabs long")
+
+    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:  # noqa: N802, N803
+        held = self.state.get() if self.state.exists() else None
+        g = np.frombuffer(held[0]).reshape(self.size, self.size).copy() if held else np.zeros((self.size, self.size))
+        n = int(held[1]) if held else 0
+        for df in rows:
+            for fiber in df["fiber"]:
+                v = np.asarray(fiber, float)
+                g += np.outer(v, v)
+                n += 1
+        self.state.update((g.tobytes(), n))
+        yield pd.DataFrame({"mode": [key[0]], "slabs": [n], "trace": [float(np.trace(g))], "frobenius": [float(np.sqrt((g * g).sum()))]})
+
+    def close(self) -> None:
+        pass
+
+
+def incremental_gram(fibers: DataFrame, size: int) -> DataFrame:
+    """(mode, slabs, trace, frobenius) after each batch of (mode, fiber) rows; state in RocksDB."""
+    from gridpress.session import ship
+
+    spark = fibers.sparkSession
+    ship(spark)
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    return fibers.groupBy("mode").transformWithStateInPandas(GramState(size), "mode int, slabs long, trace double, frobenius double", "update", "None")
+
+
+def compress_slabs(target: ErrorTarget, hours: int, types: list[str], keep: Callable[[int, str, Archive], None]) -> Callable[[DataFrame, int], None]:
+    """A foreachBatch function: each closed day of a batch is compressed as an hour x type slab.
+
+    A slab is bounded by its shape; keep(batch_id, day, archive) must replace what an earlier run of the batch kept.
+    """
+
+    def run(batch: DataFrame, batch_id: int) -> None:
+        cells = batch.groupBy(F.to_date("start").alias("day"), F.hour("start").alias("hour"), "event_type").agg(F.sum("cents").alias("v"))
+        for day in [r[0] for r in cells.select("day").distinct().orderBy("day").collect()]:
+            a = np.zeros((hours, len(types)))
+            for r in cells.where(F.col("day") == day).collect():
+                if r.event_type in types:
+                    a[r.hour, types.index(r.event_type)] = r.v
+            keep(batch_id, str(day), compress_array(a, target, GridSpec(("hour", "type"), a.shape)))
+
+    return run
+
+
+def drain(query_of: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> None:
+    """Run a stream over what is there into a memory table, and stop."""
+    w = query_of.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
+    if checkpoint:
+        w = w.option("checkpointLocation", checkpoint)
+    w.start().awaitTermination()
