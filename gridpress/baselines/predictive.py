@@ -36,7 +36,7 @@ def differences(k: np.ndarray) -> np.ndarray:
 
 def compress(a: np.ndarray, rel_bound: float) -> Predicted:
     """Every value comes back within rel_bound times the range."""
-    span = float(a.max(initial=0.0) - a.min(initial=0.0)) if a.size else 0.0
+    span = float(a.max() - a.min()) if a.size else 0.0
     bound = rel_bound * span
     k = np.rint(a / (2 * bound)).astype(np.int64) if bound > 0 else np.zeros(a.shape, np.int64)
     if bound == 0 and a.size:

@@ -111,9 +111,19 @@ def compress(grid: GridFrame, target: ErrorTarget, schedule: str = "auto", polic
     return _compress_slabs(omt(grid, "hybrid"), grid, stats, target, policy, rounding, coder, weight, stop)
 
 
+def array_stats(a: np.ndarray) -> GridStats:
+    return GridStats(float(a.min()), float(a.max()), float((a * a).sum()), a.size) if a.size else GridStats(0.0, 0.0, 0.0, 0)
+
+
 def compress_array(a: np.ndarray, target: ErrorTarget, spec: GridSpec | None = None, schedule: str = "one_pass", policy: str = "price+budget", rounding: str = "auto", order: str = "C", coder: str = "range", mode: str = "split", chunk: int = CHUNK, weight: bool = True, stop: str = "price", transformed: Transformed | None = None) -> Archive:
     spec = spec or GridSpec(tuple(f"i{n + 1}" for n in range(a.ndim)), a.shape)
-    stats = GridStats(float(a.min(initial=0.0)), float(a.max(initial=0.0)), float((a * a).sum()), a.size)
+    # squares must neither vanish nor overflow: such grids are scaled by a power of two, and back
+    shift = -scale_exponent(m) if (m := float(np.abs(a).max(initial=0.0))) and not 1e-100 < m < 1e100 else 0
+    if shift:
+        a, transformed = np.ldexp(a, shift), None
+        if target.kind == "rmse":
+            target = ErrorTarget("rmse", math.ldexp(target.value, shift))
+    stats = array_stats(a)
     t = transformed or omt_array(a, schedule)
     flat = t.core.ravel(order="F" if order == "F" else "C")
     e = scale_exponent(float(np.abs(flat).max(initial=0.0)))
@@ -136,7 +146,7 @@ def compress_array(a: np.ndarray, target: ErrorTarget, spec: GridSpec | None = N
         cut_ = np.where(low < 64, q >> np.minimum(low, 63).astype(np.uint64) << np.minimum(low, 63).astype(np.uint64), np.uint64(0))
         err = [float(((restore(cut_, neg, min(p, 63), sent, e, mid) - flat) ** 2).sum()) for mid in (True, False)]
         rounding = "midpoint" if err[0] <= err[1] else "floor"
-    header = {"axes": spec.axes, "shape": spec.shape, "width": spec.width, "integer": spec.integer, "order": order, "exponent": e, "plane": p, "sent": sent, "price": price if math.isfinite(price) else None, "sse": budget, "policy": policy, "rounding": rounding, "coder": coder, "mode": mode, "chunk": chunk, "low": stats.low, "high": stats.high, "version": 1}
+    header = {"axes": spec.axes, "shape": spec.shape, "width": spec.width, "integer": spec.integer, "order": order, "exponent": e, "plane": p, "sent": sent, "price": price if math.isfinite(price) else None, "sse": budget, "policy": policy, "rounding": rounding, "coder": coder, "mode": mode, "chunk": chunk, "low": stats.low, "high": stats.high, "shift": shift, "version": 1}
     return Archive(header, models, norms, coded, segments)
 
 
@@ -376,6 +386,8 @@ def core_array(a: Archive, upto_plane: int | None = None) -> np.ndarray:
 
 def decompress_array(a: Archive, upto_plane: int | None = None, cast: bool = False) -> np.ndarray:
     out = inverse_array(core_array(a, upto_plane), a.factors(), skip_zero_slices=True)
+    if a.header.get("shift"):
+        out = np.ldexp(out, -a.header["shift"])
     if cast and a.header["integer"]:
         out = np.clip(np.rint(out), a.header["low"], a.header["high"])
     return out
@@ -423,7 +435,7 @@ def audit(a: Archive, grid: np.ndarray) -> dict:
 
 def compress_strict(a: np.ndarray, target: ErrorTarget, spec: GridSpec | None = None, rounds: int = 8, **options) -> Archive:
     """Tighten until the audit meets the target."""
-    stats = GridStats(float(a.min(initial=0.0)), float(a.max(initial=0.0)), float((a * a).sum()), a.size)
+    stats = array_stats(a)
     goal = target.to_sse(stats)
     t, aim = omt_array(a), goal
     for _ in range(rounds):
