@@ -28,8 +28,9 @@ from gridpress.llm.labelled import held_out, labelled_ids, sample_texts
 from gridpress.llm.textkernels import GOLD, U64, Words, mix, pieces, text_bytes
 from gridpress.session import arrow_rows, ship
 
-TOXIC, CLEAN = 3000, 4500
-TRAIN_WORDS = 4000
+TOXIC, CLEAN = 1500, 3000
+TRAIN_WORDS = 1500
+TRAIN_PIECE = 1 << 19
 WINDOW, STRIDE = 24, 12
 ODDS, LEARNED = 5, 3
 UNITS, WORD_BITS, GRAM_BITS, ODDS_BITS = ODDS + LEARNED, 15, 15, 17
@@ -38,6 +39,10 @@ THRESHOLD = 0.5
 f32 = np.float32
 
 
+def _bucket(h: np.ndarray) -> np.ndarray:
+    return (h >> U64(64 - ODDS_BITS)).astype(np.int32)
+
+
 class Tokens:
     """Hashes of words, of their first bytes and of their character grams, of a piece of texts."""
 
@@ -45,13 +50,13 @@ class Tokens:
 
     def __init__(self, offsets: np.ndarray, data: np.ndarray):
         w = Words(offsets, data)
-        self.first, self.word = w.first, w.hash
+        self.first, self.word = w.first, _bucket(w.hash)
         n = w.end - w.start
         # grams start at the edge before the word and at each byte but the last two; short words give one
         self.gram_n = np.maximum(n - 1, 1)
         self.gram_at = np.cumsum(self.gram_n) - self.gram_n
         total = int(self.gram_n.sum())
-        self.gram, self.starts = np.zeros(total, U64), []
+        gram, self.gram, self.starts = np.zeros(total, U64), np.zeros(total, np.int32), []
         if not total:
             self.starts = [self.word, self.word]
             return
@@ -62,18 +67,30 @@ class Tokens:
             for t in range(4):
                 p = at + t
                 here = np.where((p >= start) & (p < end), data[np.clip(p, 0, len(data) - 1)], np.uint8(0))
-                self.gram = self.gram * U64(257) + here.astype(U64) + U64(1)
-            self.gram = mix(self.gram * GOLD)
+                gram = gram * U64(257) + here.astype(U64) + U64(1)
+            self.gram = _bucket(mix(gram * GOLD))
             code = np.zeros(len(n), U64)
             for t in range(8):
                 p = w.start + t
                 code = code * U64(257) + np.where(p < w.end, data[np.minimum(p, len(data) - 1)], np.uint8(0)).astype(U64)
                 if t in (4, 7):
-                    self.starts.append(mix(code * GOLD + U64(t)))
+                    self.starts.append(_bucket(mix(code * GOLD + U64(t))))
+
+    @staticmethod
+    def joined(parts: list[Tokens]) -> Tokens:
+        """Tokens of consecutive pieces as of one."""
+        out = Tokens.__new__(Tokens)
+        words = np.cumsum([0, *(len(p.word) for p in parts)])
+        grams = np.cumsum([0, *(len(p.gram) for p in parts)])
+        out.first = np.concatenate([[0], *(p.first[1:] + w for p, w in zip(parts, words, strict=False))])
+        out.gram_at = np.concatenate([p.gram_at + g for p, g in zip(parts, grams, strict=False)])
+        out.word, out.gram, out.gram_n = (np.concatenate([getattr(p, n) for p in parts]) for n in ("word", "gram", "gram_n"))
+        out.starts = [np.concatenate([p.starts[i] for p in parts]) for i in range(2)]
+        return out
 
     def buckets(self) -> list[np.ndarray]:
         """Buckets of the odds tables: word, first bytes twice, grams."""
-        return [(h >> U64(64 - ODDS_BITS)).astype(np.int64) for h in (self.word, *self.starts, self.gram)]
+        return [self.word, *self.starts, self.gram]
 
     def odds(self, tables: list[np.ndarray]) -> np.ndarray:
         """ODDS units of each word from tables by the same kinds."""
@@ -86,8 +103,8 @@ class Tokens:
     def learned(self, words: np.ndarray, grams: np.ndarray) -> np.ndarray:
         if not len(self.word):
             return np.zeros((0, LEARNED), f32)
-        pooled = np.add.reduceat(grams[(self.gram >> U64(64 - GRAM_BITS)).astype(np.int64)], self.gram_at, axis=0)
-        return words[(self.word >> U64(64 - WORD_BITS)).astype(np.int64)] + pooled / np.sqrt(self.gram_n)[:, None].astype(f32)
+        pooled = np.add.reduceat(grams[self.gram >> (ODDS_BITS - GRAM_BITS)], self.gram_at, axis=0)
+        return words[self.word >> (ODDS_BITS - WORD_BITS)] + pooled / np.sqrt(self.gram_n)[:, None].astype(f32)
 
 
 def windows(first: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -211,12 +228,17 @@ def document_logits(net: Network, texts: pa.Array) -> np.ndarray:
     return out
 
 
-def _counts(bucket: np.ndarray, doc: np.ndarray, y: np.ndarray, fold: np.ndarray) -> np.ndarray:
-    """Texts of each fold and label that a bucket occurs in: (FOLDS, 2, buckets)."""
+def _counts(bucket: np.ndarray, edge: np.ndarray, y: np.ndarray, fold: np.ndarray, block: int = 256) -> np.ndarray:
+    """Texts of each fold and label that a bucket occurs in: (FOLDS, 2, buckets); edge bounds each text's entries."""
     size = 1 << ODDS_BITS
-    pair = np.unique(doc * size + bucket)
-    b, d = pair % size, pair // size
-    return np.bincount((fold[d] * 2 + y[d]) * size + b, minlength=FOLDS * 2 * size).reshape(FOLDS, 2, size)
+    out = np.zeros((FOLDS * 2, size), np.int32)
+    for i in range(0, len(y), block):
+        j = min(len(y), i + block)
+        d = np.repeat(np.arange(j - i), np.diff(edge[i : j + 1]))
+        pair = np.unique(d * size + bucket[edge[i] : edge[j]])
+        b, d = pair % size, pair // size + i
+        np.add.at(out, (fold[d] * 2 + y[d], b), 1)
+    return out.reshape(FOLDS, 2, size)
 
 
 def _log_odds(neg: np.ndarray, pos: np.ndarray, share: float) -> np.ndarray:
@@ -229,18 +251,19 @@ def train(texts: list[str], y: np.ndarray, seed: int = 3, rounds: int = ROUNDS,
     rng = np.random.default_rng(seed)
     net = Network(seed)
     p = net.p
-    tok = Tokens(*text_bytes(pa.array(texts, pa.large_string()), lower=True))
+    column = pa.array(texts, pa.large_string())
+    tok = Tokens.joined([Tokens(*text_bytes(column[lo:hi], lower=True)) for lo, hi in pieces(column, TRAIN_PIECE)])
     fold = rng.permutation(len(y)) % FOLDS
     share = float(y.mean())
     doc_of_word = np.repeat(np.arange(len(y)), np.diff(tok.first))
-    doc_of_gram = np.repeat(doc_of_word, tok.gram_n)
-    counts = [_counts(b, d, y, fold) for b, d in zip(tok.buckets(), (doc_of_word, doc_of_word, doc_of_word, doc_of_gram), strict=True)]
+    gram_edge = np.append(tok.gram_at, len(tok.gram))[tok.first]
+    counts = [_counts(b, e, y, fold) for b, e in zip(tok.buckets(), (tok.first, tok.first, tok.first, gram_edge), strict=True)]
     net.odds = [_log_odds(*c.sum(axis=0), share) for c in counts]
     odds = np.zeros((len(tok.word), ODDS), f32)
     for f in range(FOLDS):
         mine = fold[doc_of_word] == f
         odds[mine] = tok.odds([_log_odds(*(c.sum(axis=0) - c[f]), share) for c in counts])[mine]
-    word_at, gram_at = (tok.word >> U64(64 - WORD_BITS)).astype(np.int64), (tok.gram >> U64(64 - GRAM_BITS)).astype(np.int64)
+    word_at, gram_at = tok.word >> (ODDS_BITS - WORD_BITS), tok.gram >> (ODDS_BITS - GRAM_BITS)
     doc, start, held = windows(tok.first)
     lead = np.searchsorted(doc, np.arange(len(y) + 1))
     slot = np.arange(WINDOW)
