@@ -141,6 +141,7 @@ def compress_array(a: np.ndarray, target: ErrorTarget, spec: GridSpec | None = N
     norms = fac.array_slice_norms(t.core) if p < 64 else [np.zeros(n) for n in t.core.shape]
     left = (BUDGET_FACTORS * target.to_sse(stats) / a.ndim) if policy == "price+budget" and target.kind != "size" else None
     coded = fac.encode_all(t.factors, norms, price, weight=weight, stop=stop, core_plane=p, most_sse=left, coder=coder)
+    norms = _needed(norms, coded, coder)
     if rounding == "auto":
         low = p + (np.arange(len(q)) >= sent)
         cut_ = np.where(low < 64, q >> np.minimum(low, 63).astype(np.uint64) << np.minimum(low, 63).astype(np.uint64), np.uint64(0))
@@ -150,6 +151,11 @@ def compress_array(a: np.ndarray, target: ErrorTarget, spec: GridSpec | None = N
     return Archive(header, models, norms, coded, segments)
 
 
+def _needed(norms: list[np.ndarray], coded: list[dict], coder: str) -> list[np.ndarray]:
+    """Norms of columns that hold something once coded; the others need none to be restored."""
+    return [np.where(np.any(fac.decode_factor(f, s, coder) != 0, axis=0), s, 0.0) for f, s in zip(coded, norms, strict=True)]
+
+
 def _planes(q, neg, lead, p, sent, mode):
     top = int(lead.max(initial=-1)) if mode == "split" else 63
     for plane in range(top, p - 1, -1):
@@ -310,6 +316,7 @@ def _compress_slabs(t: Transformed, grid: GridFrame, stats: GridStats, target: E
     norms = _slab_norms(slabs, spec)
     left = BUDGET_FACTORS * target.to_sse(stats) / len(spec.shape) if policy == "price+budget" else None
     coded = fac.encode_all(t.factors, norms, price, weight=weight, stop=stop, core_plane=p, most_sse=left, coder=coder)
+    norms = _needed(norms, coded, coder)
     rounding = "midpoint" if rounding == "auto" else rounding
     header = {"axes": spec.axes, "shape": spec.shape, "width": spec.width, "integer": spec.integer, "order": "C", "exponent": e, "plane": p, "sent": sent, "price": price if math.isfinite(price) else None, "sse": budget, "policy": policy, "rounding": rounding, "coder": coder, "mode": "split", "chunk": 0, "low": stats.low, "high": stats.high, "version": 1}
     return Archive(header, models, norms, coded, segments)

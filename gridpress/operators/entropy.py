@@ -1,7 +1,8 @@
 """Entropy coding of run symbols with a stored static model: interleaved range lanes, or a prefix code.
 
 A model keeps the commonest runs and an escape; what escapes follows in Elias
-gamma bits.  Lanes are independent coder states over every n-th symbol, so a
+gamma bits.  Few symbols do not repay a model: they go by a Rice code, whose one
+parameter is then the model (no symbols, the parameter as the only frequency).  Lanes are independent coder states over every n-th symbol, so a
 step of all lanes is one vector operation.
 """
 
@@ -29,6 +30,12 @@ class Model:
     @staticmethod
     def of(runs: np.ndarray, counts: np.ndarray) -> Model:
         """Model of a histogram; the least common runs share the escape."""
+        if len(runs):
+            k = _rice_parameter(np.asarray(runs), np.asarray(counts))
+            n = float(np.sum(counts))
+            ideal = float((counts * np.log2(n / counts)).sum()) + 32
+            if len(runs) <= ALPHABET and _rice_bits(np.asarray(runs), np.asarray(counts), k) <= ideal + BITS * len(runs) + sum(2 * math.floor(math.log2(int(r) + 2)) + 1 for r in runs):
+                return Model(np.zeros(0, np.int64), np.array([k]))
         order = np.lexsort((runs, -counts))
         runs, counts = runs[order].astype(np.int64), counts[order].astype(np.float64)
         if len(runs) > ALPHABET:
@@ -41,9 +48,15 @@ class Model:
         f[0] += (1 << BITS) - f.sum()
         return Model(runs, f)
 
+    @property
+    def rice(self) -> bool:
+        return not len(self.symbols)
+
     @property
     def bits(self) -> int:
-        """Stored size: a gamma-coded run and BITS bits of frequency for each entry."""
+        """Stored size: a gamma-coded run and BITS bits of frequency for each entry; a byte for a Rice parameter."""
+        if self.rice:
+            return 8
         return int(sum(2 * math.floor(math.log2(max(int(s), 0) + 2)) + 1 for s in self.symbols)) + BITS * len(self.symbols)
 
     def index(self, runs: np.ndarray) -> np.ndarray:
@@ -57,6 +70,47 @@ class Model:
         return np.where(found, order[at], escape[0] if len(escape) else 0)
 
 
+def _rice_bits(runs: np.ndarray, counts: np.ndarray, k: int) -> float:
+    return float((counts * ((runs >> k) + 1 + k)).sum())
+
+
+def _rice_parameter(runs: np.ndarray, counts: np.ndarray) -> int:
+    return min(range(32), key=lambda k: _rice_bits(runs, counts, k))
+
+
+def _varint(n: int) -> bytes:
+    out = bytearray()
+    while n > 127:
+        out.append(n & 127 | 128)
+        n >>= 7
+    return bytes([*out, n])
+
+
+class RiceCoder:
+    """Quotients in unary, remainders in k bits."""
+
+    @staticmethod
+    def encode(runs: np.ndarray, k: int) -> bytes:
+        bits = "".join(["0" * (int(r) >> k) + "1" + (format(int(r) & ((1 << k) - 1), f"0{k}b") if k else "") for r in runs])
+        return _varint(len(runs)) + np.packbits(np.frombuffer(bits.encode(), np.uint8) - 48).tobytes()
+
+    @staticmethod
+    def decode(blob: bytes, k: int) -> np.ndarray:
+        n = shift = at = 0
+        while True:
+            n |= (blob[at] & 127) << shift
+            at, shift = at + 1, shift + 7
+            if blob[at - 1] < 128:
+                break
+        bits = np.unpackbits(np.frombuffer(blob, np.uint8, -1, at)) if len(blob) > at else np.zeros(0, np.uint8)
+        s, p, out = (bits + 48).tobytes().decode(), 0, np.empty(n, np.int64)
+        for i in range(n):
+            e = s.index("1", p)
+            out[i] = (e - p) << k | (int(s[e + 1 : e + 1 + k], 2) if k else 0)
+            p = e + 1 + k
+        return out
+
+
 def _gamma(values: np.ndarray) -> np.ndarray:
     out = []
     for v in values:
@@ -83,6 +137,8 @@ class RangeCoder:
 
     @staticmethod
     def encode(runs: np.ndarray, model: Model) -> bytes:
+        if model.rice:
+            return RiceCoder.encode(runs, int(model.freq[0]))
         n = len(runs)
         sym = model.index(np.asarray(runs, np.int64))
         escaped = _gamma(np.asarray(runs)[model.symbols[sym] == ESCAPE])
@@ -105,6 +161,8 @@ class RangeCoder:
 
     @staticmethod
     def decode(blob: bytes, model: Model) -> np.ndarray:
+        if model.rice:
+            return RiceCoder.decode(blob, int(model.freq[0]))
         n, m = (int(x) for x in np.frombuffer(blob, "<u4", 2))
         lanes = _lanes(n)
         state = np.frombuffer(blob, "<u4", lanes, 8).astype(np.uint64)
@@ -167,6 +225,8 @@ class PrefixCoder:
 
     @staticmethod
     def encode(runs: np.ndarray, model: Model) -> bytes:
+        if model.rice:
+            return RiceCoder.encode(runs, int(model.freq[0]))
         sym, codes = model.index(np.asarray(runs, np.int64)), PrefixCoder.codes(model)
         escaped = _gamma(np.asarray(runs)[model.symbols[sym] == ESCAPE])
         bits = np.frombuffer("".join([codes[s] for s in sym]).encode(), np.uint8) - 48 if len(sym) else np.zeros(0, np.uint8)
@@ -174,6 +234,8 @@ class PrefixCoder:
 
     @staticmethod
     def decode(blob: bytes, model: Model) -> np.ndarray:
+        if model.rice:
+            return RiceCoder.decode(blob, int(model.freq[0]))
         n, m = (int(x) for x in np.frombuffer(blob, "<u4", 2))
         bits = np.unpackbits(np.frombuffer(blob, np.uint8, -1, 8)) if len(blob) > 8 else np.zeros(0, np.uint8)
         back = {c: i for i, c in enumerate(PrefixCoder.codes(model))}

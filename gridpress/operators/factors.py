@@ -102,7 +102,7 @@ def decode_factor(f: dict, sigma: np.ndarray, coder: str = "range") -> np.ndarra
 
 
 def factor_bytes(f: dict) -> int:
-    return sum(len(r) + len(v) + len(s) + -(-m.bits // 8) + 4 for _, m, r, v, s, _ in f["planes"]) + 8
+    return sum(len(r) + len(v) + len(s) + -(-m.bits // 8) + 1 for _, m, r, v, s, _ in f["planes"]) + 8
 
 
 def plane_depth(f: dict) -> int:

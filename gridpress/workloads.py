@@ -77,17 +77,20 @@ def quality_curve(spark: SparkSession, grids: dict[str, tuple[np.ndarray, int]],
     return jobs.mapInArrow(run, CURVE)
 
 
-def lead_zone(curve: DataFrame, steps: int = 24) -> DataFrame:
-    """(cube, lo, hi, share): the ratios of a common grid at which plane_omt's interpolated PSNR leads."""
+def lead_zone(curve: DataFrame, steps: int = 32) -> DataFrame:
+    """(cube, lo, hi, share): the ratios at which plane_omt's interpolated PSNR leads, of a grid over its own ratios.
+
+    A codec that does not reach a ratio is beaten there; below its least ratio it keeps the PSNR of that.
+    """
 
     def zone(key: tuple, t: pa.Table) -> pa.Table:
         df = t.to_pandas().dropna()
-        hi = df.groupby("codec").ratio.max().min()
-        lo = df.groupby("codec").ratio.min().max()
+        curves = {c: g.sort_values("ratio") for c, g in df.groupby("codec")}
+        own = curves.get("plane_omt")
+        at = np.geomspace(own.ratio.min(), own.ratio.max(), steps) if own is not None else np.array([])
         lead = []
-        at = np.geomspace(lo, hi, steps) if hi > lo > 0 else np.array([])
         for x in at:
-            v = {c: float(np.interp(math.log(x), np.log(g.sort_values("ratio").ratio), g.sort_values("ratio").psnr)) for c, g in df.groupby("codec")}
+            v = {c: float(np.interp(math.log(x), np.log(g.ratio), g.psnr)) if x <= g.ratio.max() * (1 + 1e-12) else -math.inf for c, g in curves.items()}
             lead.append(max(v, key=v.get) == "plane_omt")
         won = at[np.array(lead, bool)] if len(at) else at
         return pa.table({"cube": [key[0].as_py()], "lo": pa.array([float(won.min()) if len(won) else None], pa.float64()), "hi": pa.array([float(won.max()) if len(won) else None], pa.float64()), "share": pa.array([float(np.mean(lead)) if lead else None], pa.float64())})
@@ -95,7 +98,7 @@ def lead_zone(curve: DataFrame, steps: int = 24) -> DataFrame:
     return curve.select("cube", "codec", "ratio", "psnr").groupBy("cube").applyInArrow(zone, "cube string, lo double, hi double, share double")
 
 
-def grids(spark: SparkSession, d: str, cubes: tuple[str, ...], formulas: tuple[str, ...] = (), edge: int = 24) -> dict[str, tuple[np.ndarray, int]]:
+def grids(spark: SparkSession, d: str, cubes: tuple[str, ...], formulas: tuple[str, ...] = (), edge: int = 32) -> dict[str, tuple[np.ndarray, int]]:
     out = {}
     for name in cubes:
         g = cube(spark, d, name)
