@@ -36,10 +36,8 @@ def slotted(docs: DataFrame, shards: int = 8, slots: int = SLOTS, id_col: str =
     )
     # groups over HEAVY_SHARE of a shard: at most shards / HEAVY_SHARE of them, whatever the input
     groups = rows.where("group is not null").groupBy("group").agg(F.sum("size").alias("group_bytes"), F.count("*").alias("n"))
-    total = rows.agg(F.sum("size").alias("all_bytes"))
-    heavy = (
-        groups.where("n > 1").crossJoin(F.broadcast(total)).where(F.col("group_bytes") > F.col("all_bytes") * (HEAVY_SHARE / shards)).select("group", F.lit(True).alias("heavy"))
-    )
+    total = rows.agg(F.sum("size")).first()[0] or 0
+    heavy = groups.where((F.col("n") > 1) & (F.col("group_bytes") > F.lit(total * HEAVY_SHARE / shards))).select("group", F.lit(True).alias("heavy"))
     own = F.xxhash64(F.lit("id"), "doc_id")
     key = F.when(F.col("group").isNull() | F.col("heavy").isNotNull(), own).otherwise(F.col("group"))
     return rows.join(F.broadcast(heavy), "group", "left").select(
@@ -87,7 +85,7 @@ def rebalanced(current: DataFrame, sizes: DataFrame, shards: int) -> DataFrame:
         load = F.transform(s["load"], lambda v, i: F.when(i == k - 1, v - x["minus"]).otherwise(v))
         return F.struct(load.alias("load"), F.concat(s["at"], F.array(k - 1)).alias("at"))
 
-    moved = marked.where("moves").agg(order.alias("order")).crossJoin(have)
+    moved = marked.where("moves").agg(F.lit(1).alias("k"), order.alias("order")).join(have.withColumn("k", F.lit(1)), "k")
     at = F.aggregate("order", F.struct(F.col("load"), F.array().cast("array<int>").alias("at")), place)["at"]
     dealt = moved.select(F.explode(F.arrays_zip("order", at.alias("at"))).alias("z")).select(F.col("z.order.virtual_slot").alias("virtual_slot"), F.col("z.at").alias("new"))
     return marked.join(dealt, "virtual_slot", "left").select((F.col("version") + 1).alias("version"), "virtual_slot", F.coalesce("new", "shard").alias("shard"), "bytes")
