@@ -8,6 +8,7 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import SparkSession
+from pyspark.sql import types as T
 from pyspark.sql.functions import arrow_udtf, pandas_udf, udtf
 
 from gridpress.operators.entropy import ideal_bits
@@ -15,30 +16,30 @@ from gridpress.operators.planes import lead_array, split_plane
 from gridpress.operators.resample import lanczos_taps
 
 
-@pandas_udf("int")
+@pandas_udf(T.IntegerType())
 def float_exponent(v: pd.Series) -> pd.Series:
     """Exponent e with 2^e <= |v| < 2^(e+1); null for 0 and null."""
     m, e = np.frexp(np.abs(v.to_numpy(dtype=float, na_value=np.nan)))
     return pd.Series(np.where((m > 0) & np.isfinite(m), e - 1, np.nan)).astype("Int32")
 
 
-@pandas_udf("int")
+@pandas_udf(T.IntegerType())
 def lead_plane_udf(q: pd.Series) -> pd.Series:
     return pd.Series(lead_array(q.to_numpy(dtype=np.int64).view(np.uint64)).astype(np.int32))
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def entropy_bits_udaf(run: pd.Series) -> float:
     """Ideal bits of a group's symbols."""
     return ideal_bits(run.to_numpy())
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def gram_entry_udaf(x: pd.Series, y: pd.Series) -> float:
     return float((x * y).sum())
 
 
-@udtf(returnType="plane int, bit int")
+@udtf(returnType=T.StructType([T.StructField("plane", T.IntegerType()), T.StructField("bit", T.IntegerType())]))
 class BitPlanes:
     """(plane, bit) of the planes of a magnitude, from its highest 1 down."""
 
@@ -50,7 +51,7 @@ class BitPlanes:
             yield p, (q >> p) & 1
 
 
-@udtf(returnType="seq int, run int")
+@udtf(returnType=T.StructType([T.StructField("seq", T.IntegerType()), T.StructField("run", T.IntegerType())]))
 class ZeroRuns:
     """(seq, run) of the zero runs of an array of bits."""
 
@@ -67,7 +68,7 @@ class ZeroRuns:
             yield seq + 1, run
 
 
-@udtf(returnType="j int, tap double")
+@udtf(returnType=T.StructType([T.StructField("j", T.IntegerType()), T.StructField("tap", T.DoubleType())]))
 class LanczosTaps:
     def eval(self, k: int):
         w = lanczos_taps(k)
@@ -75,7 +76,7 @@ class LanczosTaps:
             yield j - len(w) // 2, float(t)
 
 
-@arrow_udtf(returnType="plane int, run long")
+@arrow_udtf(returnType=T.StructType([T.StructField("plane", T.IntegerType()), T.StructField("run", T.LongType())]))
 class VectorRuns:
     """(plane, run) of whole vectors of magnitudes, in batches."""
 

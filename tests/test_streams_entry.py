@@ -60,3 +60,34 @@ def test_no_window_over_all_cells(spark):
     df = spark.range(1000).select(F.col("id").alias("idx"), (F.col("id") % 37).alias("q")).withColumn("lead", P.lead_plane(F.col("q")))
     plan = P.zero_runs(df, 0, 5)._jdf.queryExecution().executedPlan().toString()
     assert "SinglePartition" not in plan
+
+
+def test_entry_imports_without_a_session():
+    import subprocess
+    import sys
+    from pathlib import Path
+
+    root = Path(__file__).resolve().parents[1]
+    got = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; print(len(e.queries()))"], cwd=root, capture_output=True, text=True, timeout=120)
+    assert got.returncode == 0 and int(got.stdout.split()[-1]) > 120
+
+
+def test_sql_functions(spark):
+    from gridpress import functions
+
+    functions.register(spark)
+    rows = spark.sql("SELECT plane, run FROM vector_runs(array(18L, 3L, 0L, 9L, 1L, 6L, 2L)) ORDER BY plane DESC, run").collect()
+    assert [r.run for r in rows if r.plane == 3] == [2, 3]
+    assert spark.sql("SELECT count(*) AS n FROM zero_runs(array(0, 1, 1, 0, 0, 0, 1, 0))").first().n == 4
+    taps = spark.sql("SELECT sum(tap) AS s FROM lanczos_taps(2)").first().s
+    assert abs(taps - 1) < 1e-12
+    assert spark.sql("SELECT quantise_bits(2.5D, 2) AS q, lead_plane(8L) AS p").first() == (10, 3)
+
+
+def test_clicks_join_purchases(spark, events):
+    a, b = (streaming.event_stream(spark, events) for _ in range(2))
+    streaming.drain(streaming.clicks_to_purchases(a, b, "24 HOURS"), "click_out")
+    e = spark.read.parquet(events).withColumn("ts", F.col("ts").cast("timestamp"))
+    c, p = e.where("event_type = 'click'").alias("c"), e.where("event_type = 'purchase'").alias("p")
+    want = c.join(p, F.expr("c.user_id = p.user_id AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 24 HOURS")).count()
+    assert spark.table("click_out").count() == want
