@@ -129,12 +129,13 @@ def compress_array(a: np.ndarray, target: ErrorTarget, spec: GridSpec | None = N
     e = scale_exponent(float(np.abs(flat).max(initial=0.0)))
     q, neg, lead = quantise_array(flat, e)
     unit = 4.0 ** (e - 63)
-    sse = sse_by_plane(q)
     if target.kind == "size":
+        sse = sse_by_plane(q)
         p, sent = _stop_by_bytes(q, neg, lead, int(target.value))
         budget = sse[p] * unit
     else:
         budget = _budget(target, stats, policy)
+        sse = sse_by_plane(q, budget / unit)
         p, sent = stop_by_budget(q, budget / unit, sse)
     segments, models = _encode_core(q, neg, lead, p, sent, chunk, coder, mode)
     price = _price(q, neg, lead, p, sent, sse, unit) if p < 64 else math.inf

@@ -180,9 +180,22 @@ def low_bits(q: np.ndarray, p: int) -> np.ndarray:
     return q & np.uint64((1 << p) - 1) if p < 64 else q
 
 
-def sse_by_plane(q: np.ndarray) -> np.ndarray:
-    """65 values: squared error in scaled units when planes p.. are kept, p = 0..64."""
-    return np.array([float(np.square(low_bits(q, p).astype(np.float64)).sum()) for p in range(65)])
+def sse_by_plane(q: np.ndarray, budget: float = -1.0) -> np.ndarray:
+    """65 values: squared error in scaled units when planes p.. are kept, p = 0..64.
+
+    Planes below the first that is within the budget are not looked at, and stay 0.
+    """
+    lead = lead_array(q)
+    v = q.astype(np.float64)
+    # what lies whole under a plane keeps its energy; only the rest is cut, and at high planes that is little
+    whole = np.concatenate([[0.0], np.cumsum(np.bincount(lead + 1, weights=v * v, minlength=65))])
+    out = np.zeros(65)
+    for p in range(64, -1, -1):
+        low = low_bits(q[lead >= p], p).astype(np.float64)
+        out[p] = whole[p + 1] + float((low * low).sum())
+        if out[p] <= budget:
+            break
+    return out
 
 
 def stop_by_budget(q: np.ndarray, budget: float, sse: np.ndarray | None = None) -> tuple[int, int]:
