@@ -28,8 +28,8 @@ from gridpress.llm.labelled import held_out, labelled_ids, sample_texts
 from gridpress.llm.textkernels import GOLD, U64, Words, mix, pieces, text_bytes
 from gridpress.session import arrow_rows, ship
 
-TOXIC, CLEAN = 1500, 3000
-TRAIN_WORDS = 1500
+TOXIC, CLEAN = 1200, 2000
+TRAIN_WORDS = 1000
 TRAIN_PIECE = 1 << 19
 WINDOW, STRIDE = 24, 12
 ODDS, LEARNED = 5, 3
