@@ -15,6 +15,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from gridpress.session import cut
+
 WORD = r"[^\x20\x09-\x0D]+"
 WEIGHTS = (3, 1, 2)
 SHARE, CEILING = 1.5, 2.0
@@ -69,8 +71,8 @@ def _thresholds(rows: DataFrame, need: DataFrame) -> DataFrame:
         # the first bucket that the need does not cover whole
         first = found.where(F.col("upto") > F.col("left")).groupBy("source").agg(F.min_by(F.struct("b", "words", (F.col("left") - F.col("upto") + F.col("words")).alias("left")), "b").alias("x"))
         state = first.select("source", F.col("x.b").alias("prefix"), F.col("x.left").alias("left"), F.col("x.words").alias("at"))
-        if used < HASH_BITS:
-            state = state.select("source", "prefix", "left")
+        # one row for each source: written down, so that a round does not plan its predecessors again
+        state = cut(state if used == HASH_BITS else state.select("source", "prefix", "left"))
     return state.select("source", F.col("prefix").alias("cut"), "left", "at")
 
 
@@ -83,13 +85,12 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     """
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col(source_col).alias("source"), record_hash(F.col(id_col)).alias("h"), words(F.col(text_col)).alias("size"))
     slim = docs.select(F.col(source_col).alias("source"), record_hash(F.col(id_col)).alias("h"), words(F.col(text_col)).alias("size")).groupBy("source", "h").agg(F.sum("size").alias("size"))
-    from gridpress.session import cut
-
     slim = cut(slim)
     sizes = slim.groupBy("source").agg(F.sum("size").alias("source_size"))
     goals = source_targets(sizes, weights, share, ceiling)
     goals = goals.withColumn("full", F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(F.lit(0)).cast("long"))
     goals = goals.withColumn("need", F.round(F.col("target") - F.col("full") * F.col("source_size")).cast("long"))
+    goals = cut(goals)
     cuts = _thresholds(slim.where("size > 0"), goals)
     table = goals.join(cuts.withColumnRenamed("source", "s"), F.col("source").eqNullSafe(F.col("s")), "left").drop("s")
     table = cut(table.select("source", "source_size", "target", "full", "need", "cut", "left", "at")).withColumnRenamed("source", "s")
