@@ -17,7 +17,9 @@ import heapq
 import re
 import struct
 from functools import lru_cache
+from itertools import accumulate
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -27,6 +29,8 @@ from gridpress.session import arrow_rows, ship
 SPACE = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 MEMO_ENTRIES = 300_000
+#: ids as decimals joined by a space, decoded surface, (first, end) source bytes of each piece as packed int32, source bytes
+Part = tuple[str, str, bytes, int]
 
 
 def _varint(b: bytes, i: int) -> tuple[int, int]:
@@ -126,7 +130,7 @@ class PieceModel:
         # no piece spans a line end or an inner blank: a text can be cut there and each part encoded once
         self.cuts = not (blank_inside or self.users or self.map.units or self.squeeze) and self.dummy_prefix and self.escape and not any("\n" in p for p in long)
         self.unused = {p for p, i in self.ids.items() if self.kinds[i] == UNUSED}
-        self.memo: dict[str, tuple[str, str]] = {}
+        self.memo: dict[str, Part] = {}
         self.pairs = {a + b for p in self.ids for a, b in zip(p, p[1:], strict=False)}
         self.merger = None
         if self.cuts:
@@ -136,11 +140,21 @@ class PieceModel:
 
     # ---- normalisation ----
 
-    def normalise(self, text: str) -> tuple[str, list[int]]:
-        """Normalised text, and for each of its characters (and the end) the source byte it starts at."""
+    def aligned(self, text: str) -> tuple[list[str], list[int], int]:
+        """Characters that replace those of a text, the source byte each one starts at, and the text's bytes.
+
+        Neither blanks are squeezed nor is a prefix added, so parts cut between two
+        characters that no entry of the map spans align as they do in the whole text.
+        """
         data = text.encode()
         out: list[str] = []
         source: list[int] = []
+        if not (self.users or self.map.units):  # every character stands for itself
+            out = list(text.replace(" ", SPACE) if self.escape else text)
+            if text.isascii():
+                return out, list(range(len(text))), len(text)
+            ends = list(accumulate([len(c.encode()) for c in text]))
+            return out, [0, *ends[:-1]], ends[-1]
         at = 0
 
         def put(s: str, where: int) -> None:
@@ -161,6 +175,11 @@ class PieceModel:
                 now = data[at : at + used].decode()
             put(now.replace(" ", SPACE) if self.escape else now, at)
             at += used
+        return out, source, len(data)
+
+    def normalise(self, text: str) -> tuple[str, list[int]]:
+        """Normalised text, and for each of its characters (and the end) the source byte it starts at."""
+        out, source, size = self.aligned(text)
         blank = SPACE if self.escape else " "
         if self.squeeze:
             kept = [(c, s) for i, (c, s) in enumerate(zip(out, source, strict=True)) if c != blank or (i and out[i - 1] != blank)]
@@ -170,7 +189,7 @@ class PieceModel:
         if self.dummy_prefix and out:
             out.insert(0, blank)
             source.insert(0, source[0])
-        return "".join(out), [*source, len(data)]
+        return "".join(out), [*source, size]
 
     # ---- segmentation ----
 
@@ -257,8 +276,11 @@ class PieceModel:
         Bytes of one fallen-back character share that character's span.
         """
         normal, source = self.normalise(text or "")
+        return self._placed(self.merge(normal), source)
+
+    def _placed(self, pieces: list[str], source: list[int]) -> list[tuple[int, int, int]]:
         out, at = [], 0
-        for piece in self.merge(normal):
+        for piece in pieces:
             end = at + len(piece)
             out += [(i, source[at], source[end]) for i in self.piece_ids(piece)]
             at = end
@@ -268,33 +290,47 @@ class PieceModel:
         ids = [int(x) for part in self.parts(text or "") if part[0] for x in part[0].split(" ")]
         return [*ids, self.end_id] if end else ids
 
-    def parts(self, text: str) -> list[tuple[str, str]]:
-        """(ids as decimals joined by a space, decoded surface) of each independent part of a text."""
+    def parts(self, text: str) -> list[Part]:
+        """Each independent part of a text; where parts can be cut, the first has one byte for the dummy prefix before it."""
         if not text:
             return []
         if not self.cuts:
-            ids = [i for i, _, _ in self.encode_spans(text)]
-            return [(" ".join(map(str, ids)), self.surface(ids))]
-        text = text.replace(" ", SPACE)
-        if SPACE * 2 in text or text[0] == SPACE:
-            words = re.findall(f"{SPACE}*[^{SPACE}\n]+|\n|{SPACE}+", SPACE + text)
+            got = self.encode_spans(text)
+            ids = [i for i, _, _ in got]
+            return [(" ".join(map(str, ids)), self.surface(ids), np.array([s[1:] for s in got], "<i4").tobytes(), len(text.encode()))]
+        if SPACE in text or "  " in text or text[0] == " " or "\0" in text:
+            words = re.findall(f"[ {SPACE}]*[^ {SPACE}\n]+|\n|[ {SPACE}]+", " " + text)
         else:  # a blank starts a new part, and so does what stands on either side of a line end
-            words = (SPACE + text.replace(SPACE, "\0\0" + SPACE).replace("\n", "\0\0\n\0\0")).split("\0\0") if "\0" not in text else re.findall(f"{SPACE}*[^{SPACE}\n]+|\n|{SPACE}+", SPACE + text)
-        memo = self.memo
-        missing = {w for w in words if w and w not in memo}
-        if missing:
+            words = (" " + text.replace(" ", "\0\0 ").replace("\n", "\0\0\n\0\0")).split("\0\0")
+        memo, words = self.memo, list(filter(None, words))
+        try:
+            return list(map(memo.__getitem__, words))
+        except KeyError:
+            missing = {w for w in words if w not in memo}
             if len(memo) >= MEMO_ENTRIES:
                 memo.clear()
-                missing = {w for w in words if w}
+                missing = set(words)
             self._learn(missing)
-        return [memo[w] for w in words if w]
+            return [memo[w] for w in words]
+
+    def spans(self, parts: list[Part]) -> np.ndarray:
+        """(first, end) source bytes of the pieces of all parts of one text, from the parts' own offsets."""
+        if not parts:
+            return np.zeros((0, 2), np.int64)
+        _, _, offsets, sizes = zip(*parts, strict=True)
+        found = np.frombuffer(b"".join(offsets), "<i4").reshape(-1, 2)
+        size = np.array(sizes, np.int64)
+        found = found + np.repeat(np.cumsum(size) - size, np.fromiter(map(len, offsets), np.int64, len(offsets)) // 8)[:, None]
+        # the dummy prefix is before the first source byte and has no bytes of its own
+        return np.maximum(found - 1, 0) if self.cuts else found
 
     def _learn(self, words: set[str]) -> None:
-        """Encode parts and remember them.
+        """Align and encode source parts and remember them with their spans.
 
         A part is cut once more near its end where no piece spans the two characters.
-        What starts with one blank goes to the library's merger in one call; its own
-        dummy prefix is that blank.  All else takes the merger above.
+        What is normalised to one blank and a word goes to the library's merger in one
+        call; its own dummy prefix is that blank.  All else takes the merger above.
+        The library's pieces are placed by the alignment recorded here.
         """
         memo, pairs = self.memo, self.pairs
         cut: dict[str, int] = {}
@@ -302,27 +338,36 @@ class PieceModel:
         for w in words:
             n = len(w)
             for i in range(n - 1, max(1, n - 4), -1):
-                if w[i - 1 : i + 1] not in pairs:
+                if w[i - 1 : i + 1].replace(" ", SPACE) not in pairs:
                     cut[w] = i
                     whole |= {w[:i], w[i:]}
                     break
             else:
                 whole.add(w)
-        whole = {w for w in whole if w not in memo}
-        batch = [w for w in whole if w[0] == SPACE and len(w) > 1 and SPACE not in w[1:] and "\0" not in w] if self.merger else []
-        found = dict(zip(batch, self.merger.encode([w[1:] for w in batch], num_threads=1), strict=True)) if batch else {}
-        pieces, kinds = self.pieces, self.kinds
+        aligned: dict[str, tuple[str, list[int], int]] = {}
         for w in whole:
+            if w not in memo:
+                out, source, size = self.aligned(w)
+                aligned[w] = ("".join(out), [*source, size], size)
+        batch = [w for w, (t, _, _) in aligned.items() if t[0] == SPACE and len(t) > 1 and SPACE not in t[1:] and "\0" not in t] if self.merger else []
+        found = dict(zip(batch, self.merger.encode([aligned[w][0][1:] for w in batch], num_threads=1), strict=True)) if batch else {}
+        names, kinds = self.pieces, self.kinds
+        for w, (normal, source, size) in aligned.items():
             ids = found.get(w)
-            if ids is None:
-                ids = [i for p in self.merge(w) for i in self.piece_ids(p)]
-            if any([kinds[i] != NORMAL for i in ids]):
-                memo[w] = (" ".join(map(str, ids)), self.surface(ids))
-            else:
-                memo[w] = (" ".join([str(i) for i in ids]), "".join([pieces[i] for i in ids]).replace(SPACE, " "))
+            if ids is None or any([kinds[i] != NORMAL for i in ids]):
+                got = self._placed(self.merge(normal), source)
+                ids = [i for i, _, _ in got]
+                memo[w] = (" ".join(map(str, ids)), self.surface(ids), struct.pack(f"<{2 * len(got)}i", *[x for s in got for x in s[1:]]), size)
+                continue
+            pieces = [names[i] for i in ids]
+            ends = [source[n] for n in accumulate(map(len, pieces))]
+            flat = [0] * (2 * len(ends))
+            flat[1::2], flat[2::2] = ends, ends[:-1]
+            memo[w] = (" ".join(map(str, ids)), "".join(pieces).replace(SPACE, " "), struct.pack(f"<{len(flat)}i", *flat), size)
         for w, i in cut.items():
-            (ids, text), (more, rest) = memo[w[:i]], memo[w[i:]]
-            memo[w] = (f"{ids} {more}", text + rest)
+            (ids, text, spans, size), (more, rest, others, length) = memo[w[:i]], memo[w[i:]]
+            moved = struct.unpack(f"<{len(others) // 4}i", others)
+            memo[w] = (f"{ids} {more}", text + rest, spans + struct.pack(f"<{len(moved)}i", *[x + size for x in moved]), size + length)
 
     # ---- decoding ----
 
@@ -357,10 +402,12 @@ def model(blob: bytes) -> PieceModel:
     return PieceModel(blob)
 
 
-def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False) -> DataFrame:
+def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False, with_spans: bool = False) -> DataFrame:
     """Encode every whole text with an end id, and decode the ids again.
 
-    Returns id_col, n_tokens, ids_sha256, decoded_sha256, decoded_bytes, and with_ids the ids.
+    Returns id_col, n_tokens, ids_sha256, decoded_sha256, decoded_bytes, spans_sha256, with_ids the ids, and with_spans
+    span_start and span_end, the source bytes of each id but the end id.  Digests of spans are over little-endian int32
+    pairs; pieces of every text are placed in its bytes by the recorded alignment, and all columns come from them.
     The model file is read on the driver and travels with the task (half a megabyte).
     """
     spark = docs.sparkSession
@@ -369,7 +416,8 @@ def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", t
     with open(model_path, "rb") as f:
         blob = f.read()
     key = docs.schema[id_col]
-    out = pa.schema([("n_tokens", pa.int64()), ("ids_sha256", pa.string()), ("decoded_sha256", pa.string()), ("decoded_bytes", pa.int64()), *([("ids", pa.list_(pa.int32()))] if with_ids else [])])
+    lists = [*(["ids"] if with_ids else []), *(["span_start", "span_end"] if with_spans else [])]
+    out = pa.schema([("n_tokens", pa.int64()), ("ids_sha256", pa.string()), ("decoded_sha256", pa.string()), ("decoded_bytes", pa.int64()), ("spans_sha256", pa.string()), *[(n, pa.list_(pa.int32())) for n in lists]])
 
     def run(batches):
         m = model(blob)
@@ -384,13 +432,16 @@ def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", t
                 if m.dummy_prefix and decoded.startswith(" "):
                     decoded = decoded.lstrip(" ") if m.squeeze else decoded[1:]
                 raw = decoded.encode()
-                row = [line.count(" ") + 1, hashlib.sha256(line.encode()).hexdigest(), hashlib.sha256(raw).hexdigest(), len(raw)]
+                spans = m.spans(parts).astype("<i4")
+                row = [line.count(" ") + 1, hashlib.sha256(line.encode()).hexdigest(), hashlib.sha256(raw).hexdigest(), len(raw), hashlib.sha256(spans.tobytes()).hexdigest()]
                 if with_ids:
                     row.append([int(x) for x in line.split(" ")])
+                if with_spans:
+                    row += [spans[:, 0], spans[:, 1]]
                 for c, v in zip(cols, row, strict=True):
                     c.append(v)
             yield pa.RecordBatch.from_arrays([b.column("_key"), *(pa.array(c, f.type) for c, f in zip(cols, out, strict=True))], names=["_key", *out.names])
 
-    ddl = f"_key {key.dataType.simpleString()}, n_tokens long, ids_sha256 string, decoded_sha256 string, decoded_bytes long" + (", ids array<int>" if with_ids else "")
+    ddl = f"_key {key.dataType.simpleString()}, n_tokens long, ids_sha256 string, decoded_sha256 string, decoded_bytes long, spans_sha256 string" + "".join(f", {n} array<int>" for n in lists)
     got = docs.select(F.col(id_col).alias("_key"), F.col(text_col).alias("_text")).mapInArrow(run, ddl)
     return got.withColumnRenamed("_key", id_col)

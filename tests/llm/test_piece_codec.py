@@ -40,3 +40,19 @@ def test_documents(spark, messy):
     empty = hashlib.sha256(b"2").hexdigest()
     assert (2, 1, empty) in rows and (3, 1, empty) in rows
     assert piece_codec.encode_documents(messy.limit(0), piece_model_path()).count() == 0
+
+
+@settings(max_examples=300, deadline=None)
+@given(st.text(alphabet=st.one_of(st.sampled_from(" \n\t▁aéth.漢😀\0"), st.characters(blacklist_categories=["Cs"])), max_size=60))
+def test_spans_of_parts_equal_those_of_the_whole_text(text):
+    assert list(map(tuple, MODEL.spans(MODEL.parts(text)).tolist())) == [(a, b) for _, a, b in MODEL.encode_spans(text)]
+
+
+def test_documents_offer_spans(spark, messy):
+    got = piece_codec.encode_documents(messy, piece_model_path(), with_ids=True, with_spans=True).collect()
+    texts = {r.doc_id: r.text or "" for r in messy.collect()}
+    assert any(r.span_start for r in got)
+    for r in got:
+        want = MODEL.encode_spans(texts[r.doc_id])
+        assert list(zip(r.ids, r.span_start, r.span_end)) == want and r.ids[-1] == MODEL.end_id
+        assert r.spans_sha256 == hashlib.sha256(b"".join(x.to_bytes(4, "little") for _, a, b in want for x in (a, b))).hexdigest()
