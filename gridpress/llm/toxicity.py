@@ -11,7 +11,8 @@ windows of the whole text are scored.
 
 Training is in numpy on a bounded sample: labels belong to texts, so each round
 picks the worst windows of every text under the current model and learns on
-those (word log-odds serve as the model before the first round).
+those (word log-odds serve as the model before the first round).  Rounds go over
+the whole texts in pieces and hold tokens of one piece and of chosen windows.
 
 Cases: null and wordless texts have one empty window, scored like any other;
 without both labels to learn from all scores are 0.
@@ -29,7 +30,6 @@ from gridpress.llm.textkernels import GOLD, U64, Words, mix, pieces, text_bytes
 from gridpress.session import arrow_rows, ship
 
 TOXIC, CLEAN = 1200, 2000
-TRAIN_WORDS = 1000
 TRAIN_PIECE = 1 << 19
 WINDOW, STRIDE = 24, 12
 ODDS, LEARNED = 5, 3
@@ -76,27 +76,16 @@ class Tokens:
                 if t in (4, 7):
                     self.starts.append(_bucket(mix(code * GOLD + U64(t))))
 
-    @staticmethod
-    def joined(parts: list[Tokens]) -> Tokens:
-        """Tokens of consecutive pieces as of one."""
-        out = Tokens.__new__(Tokens)
-        words = np.cumsum([0, *(len(p.word) for p in parts)])
-        grams = np.cumsum([0, *(len(p.gram) for p in parts)])
-        out.first = np.concatenate([[0], *(p.first[1:] + w for p, w in zip(parts, words, strict=False))])
-        out.gram_at = np.concatenate([p.gram_at + g for p, g in zip(parts, grams, strict=False)])
-        out.word, out.gram, out.gram_n = (np.concatenate([getattr(p, n) for p in parts]) for n in ("word", "gram", "gram_n"))
-        out.starts = [np.concatenate([p.starts[i] for p in parts]) for i in range(2)]
-        return out
-
     def buckets(self) -> list[np.ndarray]:
         """Buckets of the odds tables: word, first bytes twice, grams."""
         return [self.word, *self.starts, self.gram]
 
-    def odds(self, tables: list[np.ndarray]) -> np.ndarray:
-        """ODDS units of each word from tables by the same kinds."""
+    def odds(self, tables: list[np.ndarray], shift: np.ndarray | int = 0) -> np.ndarray:
+        """ODDS units of each word from tables by the same kinds; shift is where each word's table starts in stacked ones."""
         if not len(self.word):
             return np.zeros((0, ODDS), f32)
-        b = self.buckets()
+        b = [x + shift for x in self.buckets()[:3]]
+        b.append(self.gram + (np.repeat(shift, self.gram_n) if np.ndim(shift) else shift))
         g = tables[3][b[3]]
         return np.stack([tables[0][b[0]], tables[1][b[1]], tables[2][b[2]], np.add.reduceat(g, self.gram_at) / self.gram_n.astype(f32), np.maximum.reduceat(g, self.gram_at)], axis=1)
 
@@ -247,42 +236,57 @@ def _log_odds(neg: np.ndarray, pos: np.ndarray, share: float) -> np.ndarray:
     return (np.clip(z, -1, 4) / 2).astype(f32)
 
 
-def train(texts: list[str], y: np.ndarray, seed: int = 3, rounds: int = ROUNDS, epochs: int = EPOCHS) -> Network:
+def train(texts: list[str] | pa.Array, y: np.ndarray, seed: int = 3, rounds: int = ROUNDS, epochs: int = EPOCHS) -> Network:
     rng = np.random.default_rng(seed)
     net = Network(seed)
     p = net.p
-    column = pa.array(texts, pa.large_string())
-    tok = Tokens.joined([Tokens(*text_bytes(column[lo:hi], lower=True)) for lo, hi in pieces(column, TRAIN_PIECE)])
+    column = texts if isinstance(texts, pa.Array) else pa.array(texts, pa.large_string())
+    bounds = list(pieces(column, TRAIN_PIECE))
     fold = rng.permutation(len(y)) % FOLDS
     share = float(y.mean())
-    doc_of_word = np.repeat(np.arange(len(y)), np.diff(tok.first))
-    gram_edge = np.append(tok.gram_at, len(tok.gram))[tok.first]
-    counts = [_counts(b, e, y, fold) for b, e in zip(tok.buckets(), (tok.first, tok.first, tok.first, gram_edge), strict=True)]
+    size = 1 << ODDS_BITS
+    counts = [np.zeros((FOLDS, 2, size), np.int32) for _ in range(4)]
+    for lo, hi in bounds:
+        tok = Tokens(*text_bytes(column[lo:hi], lower=True))
+        gram_edge = np.append(tok.gram_at, len(tok.gram))[tok.first]
+        for c, b, e in zip(counts, tok.buckets(), (tok.first, tok.first, tok.first, gram_edge), strict=True):
+            c += _counts(b, e, y[lo:hi], fold[lo:hi])
     net.odds = [_log_odds(*c.sum(axis=0), share) for c in counts]
-    odds = np.zeros((len(tok.word), ODDS), f32)
-    for f in range(FOLDS):
-        mine = fold[doc_of_word] == f
-        odds[mine] = tok.odds([_log_odds(*(c.sum(axis=0) - c[f]), share) for c in counts])[mine]
-    word_at, gram_at = tok.word >> (ODDS_BITS - WORD_BITS), tok.gram >> (ODDS_BITS - GRAM_BITS)
-    doc, start, held = windows(tok.first)
-    lead = np.searchsorted(doc, np.arange(len(y) + 1))
+    # one table a fold, of the other folds, one after the other
+    others = [np.concatenate([_log_odds(*(c.sum(axis=0) - c[f]), share) for f in range(FOLDS)]) for c in counts]
+    del counts
     slot = np.arange(WINDOW)
     m = {k: np.zeros_like(v) for k, v in p.items()}
     v = {k: np.zeros_like(x) for k, x in p.items()}
     steps = 0
     for turn in range(rounds):
-        if turn == 0:
-            at = np.where(slot < held[:, None], start[:, None] + slot, len(odds))
-            z = np.append(odds.max(axis=1, initial=-1), f32(-1))[at].max(axis=1)
-        else:
-            z = net.score_windows(np.concatenate([odds, tok.learned(p["words"], p["grams"])], axis=1), start, held)
-        chosen = []
-        for d in range(len(y)):
-            ws = np.arange(lead[d], lead[d + 1])
-            worst = ws[np.argsort(-z[ws], kind="stable")[:3]]
-            chosen.append(worst[:1] if y[d] else np.unique(np.append(worst, rng.choice(ws))))
-        pick = np.concatenate(chosen)
-        goal = y[doc[pick]].astype(f32)
+        # all windows of all texts are met, a piece of texts at a time; only tokens of chosen windows stay
+        kept_parts = []
+        for lo, hi in bounds:
+            tok = Tokens(*text_bytes(column[lo:hi], lower=True))
+            odds = tok.odds(others, np.repeat(fold[lo:hi], np.diff(tok.first)) * size)
+            doc, start, held = windows(tok.first)
+            lead = np.searchsorted(doc, np.arange(hi - lo + 1))
+            if turn == 0:
+                at = np.where(slot < held[:, None], start[:, None] + slot, len(odds))
+                z = np.append(odds.max(axis=1, initial=-1), f32(-1))[at].max(axis=1)
+            else:
+                z = net.score_windows(np.concatenate([odds, tok.learned(p["words"], p["grams"])], axis=1), start, held)
+            chosen = []
+            for d in range(hi - lo):
+                ws = np.arange(lead[d], lead[d + 1])
+                worst = ws[np.argsort(-z[ws], kind="stable")[:3]]
+                chosen.append(worst[:1] if y[lo + d] else np.unique(np.append(worst, rng.choice(ws))))
+            at = np.concatenate(chosen)
+            word = (start[at, None] + slot)[slot < held[at, None]]
+            gn = tok.gram_n[word]
+            grams = np.arange(int(gn.sum())) - np.repeat(np.cumsum(gn) - gn - tok.gram_at[word], gn)
+            kept_parts.append((doc[at] + lo, held[at], odds[word], tok.word[word] >> (ODDS_BITS - WORD_BITS), gn, tok.gram[grams] >> (ODDS_BITS - GRAM_BITS)))
+        pick_doc, held, odds, word_at, gram_n, gram_at = (np.concatenate(x) for x in zip(*kept_parts, strict=True))
+        del kept_parts
+        start, gram_from = np.cumsum(held) - held, np.cumsum(gram_n) - gram_n
+        pick = np.arange(len(pick_doc))
+        goal = y[pick_doc].astype(f32)
         weight = np.where(goal == 1, 0.2 / max(1.0, (goal == 1).sum()), 0.8 / max(1.0, (goal == 0).sum())) * len(goal)
         for e in range(epochs):
             rate = f32(0.002 if (turn, e) == (rounds - 1, epochs - 1) else 0.01)
@@ -292,9 +296,9 @@ def train(texts: list[str], y: np.ndarray, seed: int = 3, rounds: int = ROUNDS,
                 mask = slot < held[pick[o], None]
                 rows, cols = np.nonzero(mask)
                 word = (start[pick[o], None] + slot)[rows, cols]
-                gn = tok.gram_n[word]
+                gn = gram_n[word]
                 edge = np.cumsum(gn) - gn
-                grams = np.arange(int(gn.sum())) - np.repeat(edge - tok.gram_at[word], gn)
+                grams = np.arange(int(gn.sum())) - np.repeat(edge - gram_from[word], gn)
                 norm = np.sqrt(gn)[:, None].astype(f32)
                 x = np.zeros((len(o), WINDOW, UNITS), f32)
                 if len(word):
@@ -315,18 +319,18 @@ def train(texts: list[str], y: np.ndarray, seed: int = 3, rounds: int = ROUNDS,
     return net
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", toxic: int = TOXIC, clean: int = CLEAN, words: int = TRAIN_WORDS) -> Network | None:
-    """Learn from at most `toxic` + `clean` labelled texts of the learning folds, each of `words` words at most.
+def fit_toxicity(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", toxic: int = TOXIC, clean: int = CLEAN) -> Network | None:
+    """Learn from at most `toxic` + `clean` labelled texts of the learning folds, whole whatever their length.
 
-    Longer texts are passed over in learning only; scoring takes every text whole.
+    None only where those texts do not have both labels.
     """
     ship(docs.sparkSession)
     ids = labelled_ids(labels, "toxic", 1, toxic).union(labelled_ids(labels, "toxic", 0, clean))
-    rows = sample_texts(docs, ids, id_col, text_col).where(F.octet_length("text") <= words * 3).dropDuplicates(["doc_id"]).select("doc_id", "y", "text").toPandas().sort_values("doc_id")
-    y = rows.y.to_numpy().astype(np.int64)
+    rows = sample_texts(docs, ids, id_col, text_col).dropDuplicates(["doc_id"]).select("doc_id", "y", "text").toArrow().sort_by("doc_id")
+    y = rows["y"].to_numpy().astype(np.int64)
     if not y.any() or y.all():
         return None
-    return train(rows.text.tolist(), y)
+    return train(rows["text"].cast(pa.large_string()).combine_chunks(), y)
 
 
 def score_toxicity(docs: DataFrame, net: Network | None, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:

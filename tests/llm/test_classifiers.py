@@ -1,4 +1,5 @@
 import random
+import zlib
 
 import numpy as np
 import pyarrow as pa
@@ -77,3 +78,14 @@ def test_messy(spark, messy):
     none = messy.limit(0)
     assert pu_quality.fit_quality(none, labels) is None and toxicity.fit_toxicity(none, labels) is None
     assert np.isfinite(pu_quality.features(pa.array([None, "", " ", "x"]))).all()
+
+
+def test_long_labelled_texts_are_learnt_from(spark, monkeypatch):
+    rows = [(i, ("plain words here " * 300 + "vile " * 40) if i % 3 == 0 else "plain words here") for i in range(60)]
+    assert min(len(t) for i, t in rows if i % 3 == 0) > 3000
+    labels = spark.createDataFrame([(i, 1, int(i % 3 == 0)) for i, _ in rows], "doc_id long, quality int, toxic int")
+    met, train = [], toxicity.train
+    monkeypatch.setattr(toxicity, "train", lambda texts, y: met.append((len(texts), int(y.sum()))) or train(texts, y))
+    assert toxicity.fit_toxicity(spark.createDataFrame(rows, "doc_id long, text string"), labels) is not None
+    learnt = [i for i, _ in rows if zlib.crc32(str(i).encode()) % 5]
+    assert met == [(len(learnt), sum(i % 3 == 0 for i in learnt))]
