@@ -22,7 +22,7 @@ from gridpress.plans.grid import GridFrame, bin_month, bin_pct, bin_width, to_sl
 from gridpress.plans.targets import ErrorTarget, grid_stats
 from gridpress.session import table
 from gridpress.sources import cubes
-from gridpress.sources.cubes import CUBES, cents, cube
+from gridpress.sources.cubes import CUBES, cents, cube, glyph_pairs_lead_cells
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -87,7 +87,9 @@ for _name, _sql in {
     "embed_cube": "(SELECT label, rank, CAST(unnest(range(0, len(embedding))) AS INT) AS dim, CAST(unnest(embedding) AS DOUBLE) AS v FROM (SELECT label, embedding, CAST(row_number() OVER (PARTITION BY label ORDER BY vec_id) - 1 AS INT) AS rank FROM embeddings))",
     "page_bytes": "(SELECT CAST(page_id % 16 AS INT) AS page, CAST(floor((i - 1) * 16 / n) AS INT) AS bucket, unicode(html[i]) AS code, count(*) AS v FROM (SELECT page_id, html, length(html) AS n, unnest(range(1, length(html) + 1)) AS i FROM pages) WHERE unicode(html[i]) < 128 GROUP BY ALL)",
 }.items():
-    q(f"cube_{_name}", f"SELECT * FROM {_sql}")(lambda s, d, n=_name: CUBES[n][0](s, d))
+    # the SQL of glyph_pairs is over text prefixes; the cube is over whole texts and has its own query
+    q(f"cube_{_name}", f"SELECT * FROM {_sql}")(lambda s, d, n=_name: (glyph_pairs_lead_cells if n == "glyph_pairs" else CUBES[n][0])(s, d))
+q("cube_glyph_pairs_whole", "SELECT lang, CAST(least(unicode(p[1]), 255) AS INT) AS \"left\", CAST(least(unicode(p[2]), 255) AS INT) AS \"right\", count(*) AS v FROM (SELECT lang, unnest(list_zip(c[:-2], c[2:])) AS p FROM (SELECT lang, string_split(lower(text), '') AS c FROM documents) WHERE len(c) >= 2) GROUP BY ALL")(lambda s, d: CUBES["glyph_pairs"][0](s, d))
 
 
 # ---- statistics, targets, measures ----
@@ -593,6 +595,7 @@ q("fn_array_norm", "SELECT vec_id, round(sqrt(list_sum(list_transform(embedding,
 q("fn_array_dot", "SELECT a.vec_id, round(list_inner_product(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS dot FROM embeddings a JOIN embeddings b ON b.vec_id = 0")(lambda s, d: t_(s, d, "embeddings").join(F.broadcast(t_(s, d, "embeddings").where("vec_id = 0").select(F.col("embedding").alias("o"))), how="cross").select("vec_id", F.round(F.aggregate(F.zip_with("embedding", "o", lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda a, x: a + x), 6).alias("dot")))
 q("fn_map_model", "SELECT event_type, count(*) AS total, count(*) FILTER (hour(ts) = 5) AS at5 FROM events GROUP BY 1")(lambda s, d: t_(s, d, "events").groupBy("event_type", F.hour("ts").alias("h")).agg(F.count("*").alias("n")).groupBy("event_type").agg(F.map_from_entries(F.collect_list(F.struct("h", "n"))).alias("m")).select("event_type", F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda a, x: a + x).alias("total"), F.coalesce(F.try_element_at("m", F.lit(5)), F.lit(0)).alias("at5")))
 q("fn_string", "SELECT doc_id, lower(substr(text, 1, 5)) AS a, unicode(text) AS c, length(replace(text, ' ', '')) AS n, len(string_split(text, chr(10))) AS lines, regexp_replace(substr(text, 1, 20), '[aeiou]', '_', 'g') AS r FROM documents")(lambda s, d: t_(s, d, "documents").select("doc_id", F.lower(F.substring("text", 1, 5)).alias("a"), F.ascii("text").alias("c"), F.length(F.replace("text", F.lit(" "), F.lit(""))).cast("long").alias("n"), F.size(F.split("text", "\n")).cast("long").alias("lines"), F.regexp_replace(F.substring("text", 1, 20), "[aeiou]", "_").alias("r")))
+q("fn_string_whole", "SELECT doc_id, md5(lower(text)) AS a, md5(regexp_replace(text, '[aeiou]', '_', 'g')) AS r FROM documents")(lambda s, d: t_(s, d, "documents").select("doc_id", F.md5(F.lower("text").cast("binary")).alias("a"), F.md5(F.regexp_replace("text", "[aeiou]", "_").cast("binary")).alias("r")))
 q("fn_date", "SELECT o_orderkey, year(o_orderdate) AS y, CAST(date_trunc('month', o_orderdate) AS DATE) AS m, date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) AS n FROM orders")(lambda s, d: t_(s, d, "orders").select("o_orderkey", F.year("o_orderdate").cast("long").alias("y"), F.trunc("o_orderdate", "month").alias("m"), F.datediff(F.to_date("o_orderdate"), F.lit("1992-01-01").cast("date")).cast("long").alias("n")))
 q("json_props", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INT) AS k FROM events")(lambda s, d: t_(s, d, "events").select("event_id", F.from_json("props", "k int")["k"].alias("k")))
 

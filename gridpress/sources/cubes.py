@@ -10,7 +10,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from gridpress.plans.grid import GridFrame, GridSpec, bin_hour, bin_month, bin_pct
-from gridpress.session import table
+from gridpress.session import arrow_rows, ship, table
 
 
 def cents(c: Column) -> Column:
@@ -54,8 +54,32 @@ def embed_cube_cells(spark: SparkSession, d: str) -> DataFrame:
     return e.select("label", "rank", F.posexplode("embedding").alias("dim", "x")).select("label", "rank", "dim", F.col("x").cast("double").alias("v"))
 
 
+GLYPHS = 256
+
+
 def glyph_pairs_cells(spark: SparkSession, d: str) -> DataFrame:
-    """Adjacent code points of each text, over its first 2000 characters (the cube's definition)."""
+    """Adjacent code points of each whole text in lower case, codes capped at 255; each task adds its pairs up by language."""
+    ship(spark)
+    arrow_rows(spark)
+    t = table(spark, d, "documents").select("lang", F.lower("text").alias("t")).where(F.length("t") >= 2)
+
+    def run(batches):
+        held: dict = {}
+        for b in batches:
+            for lang, text in zip(b.column("lang"), b.column("t"), strict=True):
+                code = np.minimum(np.frombuffer(text.as_py().encode("utf-32-le"), "<u4"), GLYPHS - 1).astype(np.int64)
+                n = np.bincount(code[:-1] * GLYPHS + code[1:], minlength=GLYPHS * GLYPHS)
+                key = lang.as_py()
+                held[key] = held[key] + n if key in held else n
+        for key, n in held.items():
+            at = np.flatnonzero(n)
+            yield pa.RecordBatch.from_arrays([pa.array([key] * len(at), pa.string()), pa.array((at // GLYPHS).astype(np.int32)), pa.array((at % GLYPHS).astype(np.int32)), pa.array(n[at])], names=["lang", "left", "right", "n"])
+
+    return t.mapInArrow(run, "lang string, left int, right int, n long").groupBy("lang", "left", "right").agg(F.sum("n").alias("v"))
+
+
+def glyph_pairs_lead_cells(spark: SparkSession, d: str) -> DataFrame:
+    """Pairs of the first 2000 characters only, as the SQL of `cube_glyph_pairs` has them; no experiment uses these."""
     t = table(spark, d, "documents").select("lang", F.substring(F.lower("text"), 1, 2000).alias("t")).where(F.length("t") >= 2)
     pairs = t.select("lang", F.explode(F.transform(F.sequence(F.lit(1), F.length("t") - 1), lambda i: F.substring("t", i, F.lit(2)))).alias("s"))
     code = lambda c: F.least(F.ascii(c), F.lit(255)).cast("int")
