@@ -7,6 +7,7 @@ import pickle
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from gridpress.baselines import block_xform, predictive, rank_cut, set_part
 from gridpress.plans.grid import GridFrame, to_slabs
@@ -37,3 +38,15 @@ def compress_slabs(grid: GridFrame, codec: str, knob: float, per_slab: int) -> D
             yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(cols, (pa.int32(), pa.int64(), pa.int64(), pa.float64(), pa.float64(), pa.binary()), strict=True)], names=["slab", "lo", "bytes", "sse", "worst", "blob"])
 
     return to_slabs(grid, 0, per_slab).mapInArrow(run, "slab int, lo long, bytes long, sse double, worst double, blob binary")
+
+
+def code_counts(archive: DataFrame) -> DataFrame:
+    """(code, n) over the core codes of all slabs of a rank_cut archive."""
+
+    def run(batches):
+        for b in batches:
+            for raw in b.column("blob"):
+                v, n = np.unique(pickle.loads(raw.as_py()).codes, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(v.astype(np.int32)), pa.array(n.astype(np.int64))], names=["code", "n"])
+
+    return archive.select("blob").mapInArrow(run, "code int, n long").groupBy("code").agg(F.sum("n").alias("n"))

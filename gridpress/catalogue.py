@@ -10,8 +10,8 @@ from pyspark.sql import functions as F
 
 from gridpress import functions as G
 from gridpress import streaming, workloads
-from gridpress.baselines import block_xform, predictive, rank_cut, set_part
-from gridpress.baselines.slabs import compress_slabs
+from gridpress.baselines import block_xform, predictive, set_part
+from gridpress.baselines.slabs import code_counts, compress_slabs
 from gridpress.operators import metrics as M
 from gridpress.operators import planes as P
 from gridpress.operators import relops, spectrum
@@ -447,10 +447,7 @@ def _(s, d):
 
 @q("rank_cut_codes")
 def _(s, d):
-    a = np.array([r[0] for r in table(s, d, "embeddings").orderBy("vec_id").select("embedding").limit(512).collect()], float)
-    z = rank_cut.compress(a, energy_tail=0.05)
-    v, n = np.unique(z.codes, return_counts=True)
-    return s.createDataFrame(list(zip(v.tolist(), n.tolist(), strict=True)), "code int, n long")
+    return code_counts(compress_slabs(cube(s, d, "embed_matrix"), "rank_cut", 0.05, 512))
 
 
 @q("predictive_codes", f"WITH {_DENSE}, k AS (SELECT i1, i2, i3, CAST(round(v / 2000.0) AS BIGINT) AS k FROM dense), a AS (SELECT *, k - coalesce(lag(k) OVER (PARTITION BY i2, i3 ORDER BY i1), 0) AS d1 FROM k), b AS (SELECT *, d1 - coalesce(lag(d1) OVER (PARTITION BY i1, i3 ORDER BY i2), 0) AS d2 FROM a) SELECT CAST(i1 AS INT) AS day, CAST(i2 AS INT) AS hour, CAST(i3 AS INT) AS type, k, d2 - coalesce(lag(d2) OVER (PARTITION BY i1, i2 ORDER BY i3), 0) AS d FROM b")
