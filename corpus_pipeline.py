@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from gridpress.llm import darts, mixing, piece_codec, pu_quality, toxicity
 from gridpress.llm.queries import piece_model_path
@@ -20,9 +21,16 @@ def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate class stays, the one of the least id; a repeated row of an id stays once, a row without an id goes."""
-    kept = darts.near_duplicates(docs).where("kept").select("doc_id")
-    return docs.join(kept, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id"])
+    """One document of each near-duplicate class stays, the one of the least id; a row without an id goes.
+
+    Rows are told apart by a 64-bit hash of id and text: a repeated row stays once, while
+    different texts under one id are compared like any others.
+    """
+    keyed = docs.where("doc_id is not null").withColumn("_key", F.xxhash64("doc_id", "text"))
+    classes = cut(darts.near_duplicates(keyed, "_key").select(F.col("doc_id").alias("_key"), "class_id"))
+    first = F.min(F.struct("doc_id", "_key"))
+    kept = keyed.select("_key", "doc_id").join(classes, "_key").groupBy("class_id").agg(first.alias("first")).select("first._key")
+    return keyed.join(kept, "_key", "left_semi").dropDuplicates(["_key"]).select(*docs.columns)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
