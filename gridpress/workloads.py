@@ -107,7 +107,7 @@ def grids(spark: SparkSession, d: str, cubes: tuple[str, ...], formulas: tuple[s
 
 
 def w1_quality(spark: SparkSession, d: str) -> DataFrame:
-    return quality_curve(spark, grids(spark, d, ("ship_density", "trade_value", "event_pulse", "glyph_pairs", "dialog_len"), ("rank1", "cosines", "step", "bump")))
+    return quality_curve(spark, grids(spark, d, ("ship_density", "trade_value", "event_pulse", "glyph_pairs", "dialog_len", "page_bytes", "embed_matrix", "embed_cube"), ("rank1", "cosines", "step", "bump")))
 
 
 def w2_time_varying(spark: SparkSession, d: str) -> DataFrame:
@@ -127,7 +127,7 @@ def w4_centroids(spark: SparkSession, d: str) -> DataFrame:
     c = omt_array(cube(spark, d, "trade_value").dense()).core.ravel()
     q, _, _ = quantise_array(c, scale_exponent(float(np.abs(c).max())))
     rows = []
-    for p in range(63, 39, -1):
+    for p in range(63, -1, -1):
         at = np.flatnonzero((q >> np.uint64(p)) & np.uint64(1))
         rows.append((p, len(at), float(at.mean()) if len(at) else None, len(c) / 2))
     return spark.createDataFrame(rows, "plane int, ones long, centroid double, middle double")

@@ -37,3 +37,10 @@ def test_near_dedup_compares_different_texts_under_one_id(spark):
     rows = [(9, words[0]), (2, words[0]), (4, words[1]), (4, words[2]), (4, words[2]), (7, words[3]), (4, words[3])]
     got = corpus_pipeline.drop_near_duplicates(spark, spark.createDataFrame(rows, "doc_id long, text string"), "").collect()
     assert sorted(map(tuple, got)) == sorted([(2, words[0]), (4, words[1]), (4, words[2]), (4, words[3])])
+
+
+def test_centroids_of_all_planes(spark):
+    from gridpress.workloads import w4_centroids
+
+    rows = w4_centroids(spark, "/root/testdata/sf0.001").collect()
+    assert [r.plane for r in rows] == list(range(63, -1, -1)) and any(r.ones for r in rows if r.plane < 40)
