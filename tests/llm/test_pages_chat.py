@@ -25,6 +25,63 @@ def test_page_without_an_article():
     assert main_text.main_text(page) == f"{BODY.strip()} Ok. {BODY.strip()}"
 
 
+def stripped(page):
+    """The page without article, main and furniture elements, classes, ids and roles: plain boxes only."""
+    import re
+
+    page = re.sub(r"<(/?)(?:article|main|nav|header|footer|aside|section)\b[^>]*>", r"<\1div>", page)
+    return re.sub(r"\s(?:class|id|role)=(?:\"[^\"]*\"|\S+?(?=[\s>]))", "", page)
+
+
+def kept_by(page, choose):
+    p = main_text.Lines()
+    p.feed(page)
+    p.finish()
+    content = choose(main_text.content_lines(p))
+    return " ".join(t for t, k in zip(p.text, main_text.kept_lines(p, content), strict=True) if k)
+
+
+def test_ratios_choose_without_article_tags():
+    menu = "<nav><ul>" + "".join(f"<li><a href=/{i}>go {i}</a></li>" for i in range(60)) + "</ul></nav>"
+    page = f"<body>{menu}<div class=ad>Buy it now.</div><article><h1>Title of it</h1><p>{BODY}</p><p>Ok.</p><p>{BODY}</p></article><footer>&copy; me</footer></body>"
+    want = f"Title of it {BODY.strip()} Ok. {BODY.strip()}"
+    assert main_text.main_text(page) == want == main_text.main_text(stripped(page))
+    # ablation: the clusters decide on the plain page, so forcing them changes what is kept
+    plain = stripped(page)
+    assert kept_by(plain, lambda c: c) == want
+    assert kept_by(plain, lambda c: c | True) != want and kept_by(plain, lambda c: ~c) != want
+    # and an article that holds no content lines is not the main text
+    odd = f"<body><article><a href=1>x</a> <a href=2>y</a></article><div><p>{BODY}</p><p>{BODY}</p></div></body>"
+    assert main_text.main_text(odd) == f"{BODY.strip()} {BODY.strip()}"
+
+
+def test_whole_table_equals_the_article():
+    """Brute force on the given pages: the article element's own text, by a plain parser."""
+    import re
+    from html import unescape
+
+    import pyarrow.parquet as pq
+
+    pages = pq.read_table("/root/testdata/sf0.01/pages.parquet")["html"].to_pylist()
+    plain = 0
+    for html in pages:
+        inner = re.search(r"<article>(.*?)</article>", html, re.DOTALL).group(1)
+        inner = re.sub(r"<(script|style|form|nav|aside|footer)\b.*?</\1>", " ", re.sub(r"<!--.*?-->", "", inner, flags=re.DOTALL), flags=re.DOTALL)
+        text = re.sub(r"<(?:b|i|em|strong|a|span|code|u|small|sup|sub)\b[^>]*>|</(?:b|i|em|strong|a|span|code|u|small|sup|sub)>", "", inner)
+        assert main_text.main_text(html).split() == unescape(re.sub(r"<[^>]+>", " ", text)).split()
+        plain += main_text.main_text(stripped(html)) == main_text.main_text(html)
+    assert plain >= 0.7 * len(pages)
+
+
+def test_page_rows(spark):
+    big = "<article>" + f"<p>{BODY}</p>" * 20000 + "</article>"
+    rows = [(1, "u", "<p>a b</p>", "t", 1), (1, "u", "<p>a b</p>", "t", 1), (2, None, big, None, 2), (None, "u", "<p>c</p>", "t", 3)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string, text string, n_chars int")
+    got = sorted(((r.page_id or 0, r.text[:3], r.n_chars) for r in main_text.extract_pages(df).collect()))
+    assert got == [(0, "c", 1), (1, "a b", 3), (1, "a b", 3), (2, "A p", 20000 * (len(BODY.strip()) + 1) - 1)]
+    assert main_text.extract_pages(df.limit(0)).columns == ["page_id", "url", "text", "n_chars"] and main_text.extract_pages(df.limit(0)).count() == 0
+
+
 @given(st.text(alphabet="<|\\im_start>end\nab/", max_size=40))
 def test_escape_round_trip(text):
     assert chat.unescape(chat.escape(text)) == text and "<|" not in chat.escape(text)
