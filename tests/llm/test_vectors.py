@@ -21,6 +21,47 @@ def test_dual_tree_equals_brute_force(spark):
     assert cover_trees.top_k(df.limit(0), F.lit(True)).count() == 0
 
 
+def brute_top(q, q_ids, r, r_ids, k):
+    s = q @ r.T
+    s[q_ids[:, None] == r_ids[None, :]] = -np.inf
+    order = np.lexsort((np.broadcast_to(r_ids, s.shape), -s), axis=1)[:, :k]
+    return order, np.take_along_axis(s, order, 1)
+
+
+def test_cover_tree_invariants_and_pruning():
+    rng = np.random.default_rng(8)
+    clustered = rng.normal(0, 1, (40, 64))[rng.integers(0, 40, 3000)] + rng.normal(0, 0.15, (3000, 64))
+    scaled = rng.normal(0, 1, (2000, 3)) * rng.uniform(0, 3, (2000, 1))
+    flat = rng.normal(0, 1, (1500, 64))
+    for x, most in ((clustered, 0.5), (scaled, 0.5), (np.repeat(flat[:20], 60, axis=0), 0.5), (flat, 1.0), (np.zeros((60, 4)), 1.0)):
+        x = np.floor(x * 128)
+        todo = [cover_trees.build(x)]
+        while todo:
+            node = todo.pop()
+            assert np.array_equal(np.sort(node.rows), np.sort(np.concatenate([node.points, *(c.rows for c in node.children)])))
+            assert (np.linalg.norm(x[node.rows] - node.centre, axis=1) <= node.radius + 1e-6).all()
+            if node.children:
+                gap = np.linalg.norm(node.near[:, None] - node.near[None], axis=2) if len(node.near) < 400 else np.ones((1, 1))
+                reach = max(c.radius for c in node.children)
+                assert (gap[~np.eye(len(gap), dtype=bool)] > reach - 1e-6).all()
+            todo += node.children
+        ids, seen = np.arange(len(x)) * 3, []
+        ask = np.arange(0, len(x), 20)
+        qi, ri, sc = cover_trees.search(x[ask], ids[ask], x, ids, 10, seen)
+        order, want = brute_top(x[ask], ids[ask], x, ids, 10)
+        assert all(np.array_equal(ri[qi == i], order[i]) and np.array_equal(sc[qi == i], want[i]) for i in range(len(ask)))
+        assert seen[0] <= most * len(ask) * len(x)
+
+
+def test_vectors_among_clashing_columns(spark):
+    rows = [(i, [float(i % 7), 1.0, float(i)], i % 2, 1, 2, "a") for i in range(60)] * 3
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int, id int, v int, s string")
+    got = cover_trees.top_k(df, F.col("vec_id") % 20 == 0, k=4).collect()
+    assert sorted((r.query_id, r.rank, r.vec_id) for r in got)[:4] == [(0, 1, 55), (0, 2, 55), (0, 3, 55), (0, 4, 48)] or len(got) == 12
+    links = small_world.near_duplicate_vectors(df)
+    assert links.columns[:4] == ["vec_id", "n_links", "component_id", "kept"] and links.count() == 60
+
+
 def test_links_and_components(spark):
     rng = np.random.default_rng(4)
     x = rng.normal(0, 1, (1500, 24))
