@@ -3,8 +3,8 @@
 Graphs are built and searched in batches: a batch of rows walks the layers in
 lockstep, so each step is one gather and one product.  All rows of a label query
 every shard of it.  A query whose beam is full of links gets a wider beam;
-a sample of queries is compared with the whole shard, and all beams widen until
-that audit passes.  Links are checked by cosine in doubles, and what leaves a
+queries with and without links are compared with the whole shard, and all beams
+widen until that audit misses no link.  Links are checked by cosine in doubles, and what leaves a
 task is a count for each query and a spanning forest, never the pairs.
 
 Cases: null or unusable vectors, zero vectors and null labels link with nothing;
@@ -26,7 +26,7 @@ from gridpress.session import cut, ship
 
 SHARD_ROWS, BLOCK_QUERIES = 8192, 8192
 LINKS, BUILD_BEAM, BEAM, BATCH, AT_ONCE = 16, 48, 48, 512, 4
-AUDIT, RECALL = 64, 0.99
+AUDIT = 64
 f32 = np.float32
 
 
@@ -200,25 +200,34 @@ def unit(x: np.ndarray) -> np.ndarray:
     return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
 
 
-def linked(q: np.ndarray, r: np.ndarray, seeds: np.ndarray, threshold: float) -> tuple[np.ndarray, np.ndarray, float]:
-    """(query, row) pairs by cosine >= threshold in doubles, and the recall that the last audit measured."""
-    g = Graph(r, seeds)
-    audit = np.unique(np.linspace(0, len(q) - 1, min(AUDIT, len(q))).astype(np.int64))
-    truth = q[audit] @ r.T >= threshold
-    beam, q32 = BEAM, q.astype(f32)
+def linked(q: np.ndarray, r: np.ndarray, q_id: np.ndarray, r_id: np.ndarray, threshold: float) -> tuple[np.ndarray, np.ndarray, float]:
+    """(query, row) pairs by cosine >= threshold in doubles, and the recall that the last audit measured.
+
+    The audit compares queries with the whole shard: AUDIT of them at even steps, and as
+    many that the walk has found links for.  A query's own row does not count.  Beams are
+    doubled and all queries walk again until no audited link is missed; a beam as wide as
+    the shard is a plain product.
+    """
+    g = Graph(r, r_id)
+    beam, q32, least = BEAM, q.astype(f32), threshold - 1e-4
+    even = np.linspace(0, len(q) - 1, min(AUDIT, len(q))).astype(np.int64)
     while True:
-        a, b = g.within(q32[audit], threshold - 1e-4, beam)
+        a, b = g.within(q32, least, beam)
+        other = q_id[a] != r_id[b]
+        with_links = np.unique(a[other])
+        audit = np.union1d(even, with_links[np.linspace(0, len(with_links) - 1, min(AUDIT, len(with_links))).astype(np.int64)])
+        truth = (q[audit] @ r.T >= threshold) & (q_id[audit][:, None] != r_id[None, :])
         found = np.zeros_like(truth)
-        found[a, b] = True
-        recall = 1.0 if not truth.any() else float((found & truth).sum() / truth.sum())
-        if recall >= RECALL or beam >= len(r):
+        mine = np.isin(a, audit)
+        found[np.searchsorted(audit, a[mine]), b[mine]] = True
+        recall = float((found & truth).sum() / truth.sum()) if truth.any() else 1.0
+        if recall == 1.0 or beam >= len(r):
             break
         beam *= 2
-    a, b = g.within(q32, threshold - 1e-4, beam)
-    keep = np.zeros(len(a), bool)
+    keep = other
     for i in range(0, len(a), 1 << 16):
         s = slice(i, i + (1 << 16))
-        keep[s] = np.einsum("kd,kd->k", q[a[s]], r[b[s]]) >= threshold
+        keep[s] &= np.einsum("kd,kd->k", q[a[s]], r[b[s]]) >= threshold
     return a[keep], b[keep], recall
 
 
@@ -257,9 +266,7 @@ def near_duplicate_vectors(rows: DataFrame, threshold: float = 0.93, id_col: str
             q_id, r_id, copies = left["node"].to_numpy(), right["node"].to_numpy(), right["copies"].to_numpy()
             qo, ro = np.argsort(q_id), np.argsort(r_id)
             q_id, r_id, copies = q_id[qo], r_id[ro], copies[ro]
-            a, b, _ = linked(unit(matrix(left["v"])[qo]), unit(matrix(right["v"])[ro]), r_id, threshold)
-            other = q_id[a] != r_id[b]
-            a, b = a[other], b[other]
+            a, b, _ = linked(unit(matrix(left["v"])[qo]), unit(matrix(right["v"])[ro]), q_id, r_id, threshold)
             count = np.bincount(a, weights=copies[b], minlength=len(q_id)).astype(np.int64)
             every = np.unique(np.concatenate([q_id, r_id[b]]))
             root = every[forest(np.searchsorted(every, q_id[a]), np.searchsorted(every, r_id[b]), len(every))]
