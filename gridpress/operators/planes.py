@@ -15,6 +15,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from gridpress.operators.relops import numbered, running_sum
+
 PLANES = 64
 CHUNK = 1 << 16
 TOP = 63
@@ -48,9 +50,10 @@ def quantise(coef: DataFrame, exponent: int | None = None, value: str = "v") ->
     return coef.select("idx", q.alias("q"), (F.col(value) < 0).alias("neg")).withColumn("lead", lead_plane(F.col("q")))
 
 
-def integers(df: DataFrame, q: Column, order: Column) -> DataFrame:
-    """(idx, q, lead) of integer magnitudes as they are; idx numbers rows by `order` (small inputs: one window)."""
-    return df.select((F.row_number().over(Window.orderBy(order)) - 1).cast("long").alias("idx"), q.cast("long").alias("q")).withColumn("lead", lead_plane(F.col("q")))
+def integers(df: DataFrame, q: Column, order: Column | list[str]) -> DataFrame:
+    """(idx, q, lead) of integer magnitudes as they are; idx numbers rows by `order`."""
+    rows = numbered(df.withColumn("_q", q.cast("long")), *(order if isinstance(order, (list, tuple)) else [order]))
+    return rows.select("idx", F.col("_q").alias("q")).withColumn("lead", lead_plane(F.col("q")))
 
 
 def bit(q: Column, p: Column | int) -> Column:
@@ -81,7 +84,8 @@ def zero_runs(q: DataFrame, p_lo: int, p_hi: int) -> DataFrame:
     """(plane, seq, run) of planes p_lo..p_hi, whole vector in one scope.
 
     Ranks are two-level: counts of each (chunk, plane) are summed up over the
-    small chunk table, and only positions inside a chunk are ranked.
+    small chunk table, and only positions inside a chunk are ranked.  The same goes
+    for the 1 bits: a chunk's first one looks at the last of the chunks before.
     """
     planes = q.sparkSession.range(p_lo, p_hi + 1).select(F.col("id").cast("int").alias("plane"))
     cand = q.select("idx", "lead", F.floor(F.col("idx") / CHUNK).alias("chunk")).join(F.broadcast(planes), F.col("lead") <= F.col("plane"))
@@ -89,9 +93,12 @@ def zero_runs(q: DataFrame, p_lo: int, p_hi: int) -> DataFrame:
     before = F.coalesce(F.sum("n").over(Window.partitionBy("plane").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     starts = table.select("plane", "chunk", before.alias("start"), F.sum("n").over(Window.partitionBy("plane")).alias("total"))
     inside = F.row_number().over(Window.partitionBy("plane", "chunk").orderBy("idx"))
-    ones = cand.withColumn("r", inside).where("lead = plane").join(starts, ["plane", "chunk"]).select("plane", "total", (F.col("start") + F.col("r")).alias("rank"))
-    w = Window.partitionBy("plane").orderBy("rank")
-    body = ones.select("plane", F.row_number().over(w).alias("seq"), (F.col("rank") - F.coalesce(F.lag("rank").over(w), F.lit(0)) - 1).alias("run"))
+    ones = cand.withColumn("r", inside).where("lead = plane").join(starts, ["plane", "chunk"]).select("plane", "chunk", "total", (F.col("start") + F.col("r")).alias("rank"))
+    by_chunk = Window.partitionBy("plane").orderBy("chunk")
+    heads = ones.groupBy("plane", "chunk").agg(F.max("rank").alias("last"), F.count("*").alias("n"))
+    carry = heads.select("plane", "chunk", F.coalesce(F.lag("last").over(by_chunk), F.lit(0)).alias("from"), F.coalesce(F.sum("n").over(by_chunk.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("n"))
+    w = Window.partitionBy("plane", "chunk").orderBy("rank")
+    body = ones.join(carry, ["plane", "chunk"]).select("plane", (F.col("n") + F.row_number().over(w)).alias("seq"), (F.col("rank") - F.coalesce(F.lag("rank").over(w), F.col("from")) - 1).alias("run"))
     ends = starts.groupBy("plane").agg(F.max("total").alias("total")).join(ones.groupBy("plane").agg(F.max("rank").alias("last"), F.count("*").alias("ones")), "plane", "left")
     tail = ends.where("total > coalesce(last, 0)").select("plane", (F.coalesce("ones", F.lit(0)) + 1).alias("seq"), (F.col("total") - F.coalesce("last", F.lit(0))).alias("run"))
     return body.select("plane", F.col("seq").cast("long").alias("seq"), F.col("run").cast("long").alias("run")).union(tail.select("plane", F.col("seq").cast("long"), F.col("run").cast("long")))
@@ -108,7 +115,7 @@ def plane_sse(q: DataFrame, planes: range) -> DataFrame:
 def breakpoint_sql(q: DataFrame, budget: float, planes: range) -> DataFrame:
     """(plane, c_star, sse): the first bit, by plane and then index, after which the error is within the budget.
 
-    Prefix sums of a plane's drops are two-level over chunks.
+    Prefix sums of a plane's drops are two-level over ranges.
     """
     stats = {r.plane: r.sse_after for r in plane_sse(q, range(planes.start, planes.stop)).collect()}
     energy = q.agg(F.sum(F.col("q").cast("double") * F.col("q"))).first()[0] or 0.0
@@ -120,11 +127,7 @@ def breakpoint_sql(q: DataFrame, budget: float, planes: range) -> DataFrame:
     above = stats.get(p + 1, energy)
     rest = (F.col("q") - kept(F.col("q"), p + 1)).cast("double") if p < TOP else F.col("q").cast("double")
     drop = F.when(bit(F.col("q"), p) == 1, rest * rest - (rest - 2.0**p) * (rest - 2.0**p)).otherwise(F.lit(0.0))
-    rows = q.select("idx", F.floor(F.col("idx") / CHUNK).alias("chunk"), drop.alias("d"))
-    table = rows.groupBy("chunk").agg(F.sum("d").alias("d"))
-    start = table.select("chunk", F.coalesce(F.sum("d").over(Window.orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0.0)).alias("start"), F.sum("d").over(Window.orderBy("chunk")).alias("end"))
-    cross = start.where(F.lit(above) - F.col("end") <= budget * (1 + 1e-12)).orderBy("chunk").limit(1)
-    run = rows.join(F.broadcast(cross), "chunk").select("idx", (F.lit(above) - F.col("start") - F.sum("d").over(Window.orderBy("idx"))).alias("sse"))
+    run = running_sum(q.select("idx", drop.alias("d")), "idx", "d").select("idx", (F.lit(above) - F.col("running")).alias("sse"))
     return run.where(F.col("sse") <= budget * (1 + 1e-12)).orderBy("idx").limit(1).select(F.lit(p).alias("plane"), F.col("idx").alias("c_star"), "sse")
 
 
@@ -152,15 +155,6 @@ def negabinary_value(q: Column) -> Column:
     return q.bitwiseXOR(m) - m
 
 
-def prefix_sum(df: DataFrame, key: str, value: str, chunk: int = CHUNK) -> DataFrame:
-    """Running sums by key over any number of rows: chunk totals, a window over that small table, and windows inside chunks."""
-    rows = df.withColumn("_chunk", F.floor(F.col(key) / chunk))
-    totals = rows.groupBy("_chunk").agg(F.sum(value).alias("_t"))
-    starts = totals.select("_chunk", F.coalesce(F.sum("_t").over(Window.orderBy("_chunk").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("_s"))
-    inside = F.sum(value).over(Window.partitionBy("_chunk").orderBy(key))
-    return rows.join(starts, "_chunk").select(*df.columns, (F.col("_s") + inside).alias("running"))
-
-
 # ---- the same on arrays, for blocks ----
 
 

@@ -2,9 +2,11 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from gridpress.session import cut
+
 
 def asof_join(left: DataFrame, right: DataFrame, by: str, on: str, value: str) -> DataFrame:
     """Each left row with the last right value at or before it: one union, one window, no join.
@@ -39,3 +41,39 @@ def densify(cells: DataFrame, axes: list[str], value: str) -> DataFrame:
 def top_per_group(df: DataFrame, group: str, order: str, k: int, tie: str) -> DataFrame:
     w = Window.partitionBy(group).orderBy(F.desc(order), tie)
     return df.withColumn("rank", F.row_number().over(w)).where(F.col("rank") <= k)
+
+
+def ranged(df: DataFrame, *order: str | Column) -> DataFrame:
+    """df with _part and _at: rows dealt by ranges of the order, and a row's place in its range.  Written down, so that both stay."""
+    sorted_ = df.repartitionByRange(*order).sortWithinPartitions(*order).withColumn("_m", F.monotonically_increasing_id())
+    return cut(sorted_).withColumn("_part", F.shiftright("_m", 33).cast("int")).withColumn("_at", F.col("_m").bitwiseAND(F.lit((1 << 33) - 1))).drop("_m")
+
+
+def numbered(df: DataFrame, *order: str | Column, name: str = "idx") -> DataFrame:
+    """Rows numbered from 0 by an order, without a window: a place in a range plus the rows of the ranges before it.
+
+    The table of ranges has one row for each partition.  Rows that are equal in the order
+    are numbered in no stated order among each other.
+    """
+    rows = ranged(df, *order)
+    counts = sorted((r["_part"], r["n"]) for r in rows.groupBy("_part").agg(F.count("*").alias("n")).collect())
+    starts, total = [], 0
+    for part, n in counts:
+        starts.append((part, total))
+        total += n
+    first = df.sparkSession.createDataFrame(starts, "_part int, _start long")
+    return rows.join(F.broadcast(first), "_part").select((F.col("_start") + F.col("_at")).alias(name), *df.columns)
+
+
+def running_sum(df: DataFrame, key: str, value: str, name: str = "running") -> DataFrame:
+    """Running sums by a key over any number of rows: windows inside ranges, and the sums of the ranges before."""
+    rows = ranged(df, key)
+    sums = sorted((r["_part"], r["t"]) for r in rows.groupBy("_part").agg(F.sum(value).alias("t")).collect())
+    starts, total = [], None
+    for part, t in sums:
+        starts.append((part, total))
+        total = t if total is None else total if t is None else total + t
+    kind = rows.agg(F.sum(value).alias("t")).schema["t"].dataType.simpleString()
+    first = df.sparkSession.createDataFrame(starts, f"_part int, _start {kind}")
+    inside = F.sum(value).over(Window.partitionBy("_part").orderBy(key))
+    return rows.join(F.broadcast(first), "_part").select(*df.columns, (F.coalesce("_start", F.lit(0)) + inside).alias(name))

@@ -192,10 +192,19 @@ class Transformed:
         return GridFrame.of(spark, self.core).df if self.core is not None else slab_cells(self.slabs, self.spec, 0)
 
 
-def omt_array(a: np.ndarray, schedule: str = "one_pass", max_rank: int | None = None, eig_iters: int | None = None) -> Transformed:
+def _strong(lam: np.ndarray, drop_energy: float | None) -> int:
+    """Columns to keep so that the slices left out hold at most a share of the energy."""
+    if not drop_energy:
+        return len(lam)
+    tail = np.cumsum(lam[::-1])[::-1]
+    return max(1, int((tail > drop_energy * lam.sum()).sum()))
+
+
+def omt_array(a: np.ndarray, schedule: str = "one_pass", max_rank: int | None = None, eig_iters: int | None = None, drop_energy: float | None = None) -> Transformed:
     """Transform of an array.  one_pass takes all Grams from the input, sequential each from what is projected so far.
 
-    max_rank keeps that many columns of each basis (lossy), by eig_iters block power steps where given.
+    max_rank keeps that many columns of each basis (lossy), by eig_iters block power steps where given;
+    drop_energy leaves out the weakest slices of each axis, up to a share of the energy (lossy), before projecting.
     """
     core, factors, lams = a, [], []
     for n in range(a.ndim):
@@ -203,29 +212,35 @@ def omt_array(a: np.ndarray, schedule: str = "one_pass", max_rank: int | None =
         lam, basis = eigen_basis(u @ u.T)
         if max_rank:
             basis = subspace_basis(u @ u.T, max_rank, eig_iters) if eig_iters else basis[:, :max_rank]
+        basis = basis[:, : _strong(lam, drop_energy)]
         factors.append(basis)
         lams.append(lam)
         core = multiply(core, basis, n, transpose=True)
     return Transformed(GridSpec(tuple(f"i{n + 1}" for n in range(a.ndim)), core.shape), factors, lams, core)
 
 
-def omt(grid: GridFrame, schedule: str = "auto", **options) -> Transformed:
+def omt(grid: GridFrame, schedule: str = "auto", drop_energy: float | None = None, **options) -> Transformed:
     if schedule == "auto":
         schedule = "one_pass" if grid.spec.cells <= LOCAL_CELLS else "hybrid"
     if schedule != "hybrid" or len(grid.spec.shape) == 1:
-        return omt_array(grid.dense(), "one_pass" if schedule == "hybrid" else schedule, **options)
+        return omt_array(grid.dense(), "one_pass" if schedule == "hybrid" else schedule, drop_energy=drop_energy, **options)
     spark, spec = grid.df.sparkSession, grid.spec
     ship(spark)
     others = [m for m in range(len(spec.shape)) if m != 1]
     per = max(1, min(spec.shape[1], SLAB_BYTES // (8 * (spec.cells // spec.shape[1]))))
     slabs = cut(to_slabs(grid, 1, per))
     grams = slab_grams(slabs, spec, 1, others)
-    bases = {m: eigen_basis(g) for m, g in grams.items()}
-    half, _ = ttm(slabs, spec, 1, {m: b[1] for m, b in bases.items()}, transpose=True)
+
+    def strong(g: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        lam, u = eigen_basis(g)
+        return lam, u[:, : _strong(lam, drop_energy)]
+
+    bases = {m: strong(g) for m, g in grams.items()}
+    half, spec = ttm(slabs, spec, 1, {m: b[1] for m, b in bases.items()}, transpose=True)
     per = max(1, min(spec.shape[0], SLAB_BYTES // (8 * (spec.cells // spec.shape[0]))))
     lead = cut(reslab(half, spec, 1, 0, per))
-    bases[1] = eigen_basis(slab_grams(lead, spec, 0, [1])[1])
-    core, _ = ttm(lead, spec, 0, {1: bases[1][1]}, transpose=True)
+    bases[1] = strong(slab_grams(lead, spec, 0, [1])[1])
+    core, spec = ttm(lead, spec, 0, {1: bases[1][1]}, transpose=True)
     order = range(len(spec.shape))
     return Transformed(spec, [bases[m][1] for m in order], [bases[m][0] for m in order], slabs=cut(core))
 
@@ -261,17 +276,25 @@ def project(a: np.ndarray, factors: list[np.ndarray]) -> np.ndarray:
 
 
 def cell_at(core: DataFrame, spec: GridSpec, factors: list[np.ndarray], coords: list[tuple[int, ...]]) -> DataFrame:
-    """Values at stated coordinates by the sum over core entries; factor rows join by broadcast."""
+    """Values (k, v) at stated coordinates: one axis after the other is contracted with the factor rows that are asked for.
+
+    Each step joins on the axis' core index and on the coordinates that are fixed so far,
+    and adds up, so what is left shrinks by the axis; points of equal coordinates share it.
+    """
     spark = core.sparkSession
-    pts = spark.createDataFrame([(k, *map(int, c)) for k, c in enumerate(coords)], "k int, " + ", ".join(f"x{n} int" for n in range(len(factors))))
-    j = core.select(*[c.alias(f"r{n}") for n, c in enumerate(spec.coords())], F.col("v").alias("b")).crossJoin(F.broadcast(pts))
-    prod = F.col("b")
+    left = core.select(*[c.alias(f"r{n}") for n, c in enumerate(spec.coords())], F.col("v").cast("double").alias("v"))
     for n, u in enumerate(factors):
-        rows = sorted({c[n] for c in coords})
-        f = spark.createDataFrame([(int(r), int(c), float(u[r, c])) for r in rows for c in range(u.shape[1])], f"x{n} int, r{n} int, u{n} double")
-        j = j.join(F.broadcast(f), [f"x{n}", f"r{n}"])
-        prod = prod * F.col(f"u{n}")
-    return j.groupBy("k").agg(F.sum(prod).alias("v"))
+        fixed = [f"x{m}" for m in range(n)]
+        heads = sorted({tuple(map(int, c[: n + 1])) for c in coords})
+        near = spark.createDataFrame([(*h,) for h in heads], ", ".join(f"x{m} int" for m in range(n + 1)))
+        rows = sorted({h[n] for h in heads})
+        f = spark.createDataFrame([(r, c, float(u[r, c])) for r in rows for c in range(u.shape[1])], f"x{n} int, r{n} int, u double")
+        step = near.join(f, f"x{n}")
+        rest = [f"r{m}" for m in range(n + 1, len(factors))]
+        left = left.join(step, [*fixed, f"r{n}"]).groupBy(*fixed, f"x{n}", *rest).agg(F.sum(F.col("v") * F.col("u")).alias("v"))
+    names = [f"x{n}" for n in range(len(factors))]
+    pts = spark.createDataFrame([(k, *map(int, c)) for k, c in enumerate(coords)], "k int, " + ", ".join(f"{x} int" for x in names))
+    return pts.join(left, names).select("k", "v")
 
 
 def truncate(core: DataFrame, spec: GridSpec, ranks: tuple[int, ...]) -> DataFrame:

@@ -55,9 +55,15 @@ class GridSpec:
         A dictionary has one row for each index of its axis, and axes over 2^20 are refused.
         """
         out, shape, labels = df, [], {}
+        # all axes' labels in one scan; the grouping id tells whose they are, nulls among them
+        most, found = 1 << 20, {a: [] for a in axes}
+        sets = df.groupingSets([[F.col(a)] for a in axes], *axes).agg(F.grouping_id(*axes).alias("_g"))
+        for r in sets.limit(most * len(axes) + 1).toLocalIterator():
+            a = axes[[x for x in range(len(axes)) if not (r["_g"] >> (len(axes) - 1 - x)) & 1][0]]
+            found[a].append(r[a])
         for a in axes:
-            names = [r[0] for r in df.select(a).distinct().orderBy(a).limit((1 << 20) + 1).collect()]
-            if len(names) > 1 << 20:
+            names = sorted(found[a], key=lambda x: (x is not None, x))
+            if len(names) > most:
                 raise ValueError(f"axis {a} is too long for a dictionary")
             labels[a] = names
             shape.append(max(1, len(names)))

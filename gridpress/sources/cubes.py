@@ -78,14 +78,6 @@ def glyph_pairs_cells(spark: SparkSession, d: str) -> DataFrame:
     return t.mapInArrow(run, "lang string, left int, right int, n long").groupBy("lang", "left", "right").agg(F.sum("n").alias("v"))
 
 
-def glyph_pairs_lead_cells(spark: SparkSession, d: str) -> DataFrame:
-    """Pairs of the first 2000 characters only, as the SQL of `cube_glyph_pairs` has them; no experiment uses these."""
-    t = table(spark, d, "documents").select("lang", F.substring(F.lower("text"), 1, 2000).alias("t")).where(F.length("t") >= 2)
-    pairs = t.select("lang", F.explode(F.transform(F.sequence(F.lit(1), F.length("t") - 1), lambda i: F.substring("t", i, F.lit(2)))).alias("s"))
-    code = lambda c: F.least(F.ascii(c), F.lit(255)).cast("int")
-    return pairs.groupBy("lang", code(F.substring("s", 1, 1)).alias("left"), code(F.substring("s", 2, 1)).alias("right")).agg(F.count("*").alias("v"))
-
-
 def dialog_len_cells(spark: SparkSession, d: str) -> DataFrame:
     c = table(spark, d, "conversations")
     return c.groupBy(F.pmod("conv_id", F.lit(32)).cast("int").alias("conv"), F.col("turn").cast("int").alias("turn"), "role").agg(F.sum(F.length("text").cast("long")).alias("v"))

@@ -97,12 +97,13 @@ def compress_slabs(target: ErrorTarget, hours: int, types: list[str], keep: Call
 
     def run(batch: DataFrame, batch_id: int) -> None:
         cells = batch.groupBy(F.to_date("start").alias("day"), F.hour("start").alias("hour"), "event_type").agg(F.sum("cents").alias("v"))
-        for day in [r[0] for r in cells.select("day").distinct().orderBy("day").collect()]:
+        days = cells.where(F.col("event_type").isin(types)).groupBy("day").agg(F.collect_list(F.struct("hour", "event_type", "v")).alias("cells"))
+        # one row a day, of at most hours x types cells; a day without any of the types is an empty slab
+        for r in cells.select("day").distinct().join(days, "day", "left").orderBy("day").toLocalIterator():
             a = np.zeros((hours, len(types)))
-            for r in cells.where(F.col("day") == day).collect():
-                if r.event_type in types:
-                    a[r.hour, types.index(r.event_type)] = r.v
-            keep(batch_id, str(day), compress_array(a, target, GridSpec(("hour", "type"), a.shape)))
+            for c in r.cells or ():
+                a[c.hour, types.index(c.event_type)] = c.v
+            keep(batch_id, str(r.day), compress_array(a, target, GridSpec(("hour", "type"), a.shape)))
 
     return run
 
