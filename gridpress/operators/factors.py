@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 
 from gridpress.operators.entropy import CODERS, Model, ideal_bits
-from gridpress.operators.planes import join_plane, lead_array, quantise_array, restore, scale_exponent, split_plane, sse_by_plane, stop_by_budget
+from gridpress.operators.planes import join_plane, lead_array, low_bits, quantise_array, restore, scale_exponent, split_plane, sse_by_plane, stop_by_budget
 
 PRICE_BLOCK = 256
 
@@ -36,22 +36,53 @@ def price_of_planes(q: np.ndarray, lead: np.ndarray, neg: np.ndarray, exponent:
     return out
 
 
-def stop_by_price(q: np.ndarray, lead: np.ndarray, neg: np.ndarray, exponent: int, price: float, most_sse: float | None = None) -> int:
-    """Lowest plane to send whole: the last before a plane's price falls to `price`.
+def drops(q: np.ndarray, p: int) -> np.ndarray:
+    """Squared error in scaled units that each bit of plane p removes."""
+    rest = low_bits(q, p + 1).astype(np.float64)
+    return np.where((q >> np.uint64(p)) & np.uint64(1) == 1, rest**2 - (rest - 2.0**p) ** 2, 0.0)
 
-    The leading plane's price is looked at from the first plane with a 1.  With
-    most_sse planes go on until the rest is within it, whatever they cost.
+
+def gains(q: np.ndarray, lead: np.ndarray, neg: np.ndarray, p: int) -> tuple[np.ndarray, np.ndarray]:
+    """(squared error removed, ideal bits) of each coefficient in plane p.
+
+    Verbatim bits and signs cost one; a run costs what the plane's histogram of runs
+    makes it, where its 1 stands.
+    """
+    bits = (lead > p).astype(np.float64)
+    at = np.flatnonzero(lead == p)
+    if len(at):
+        runs = split_plane(q, lead, neg, p)[0]
+        v, back, f = np.unique(runs, return_inverse=True, return_counts=True)
+        bits[at] += 1 + np.log2(f.sum() / f)[back][: len(at)]
+    return drops(q, p), bits
+
+
+def stop_by_price(q: np.ndarray, lead: np.ndarray, neg: np.ndarray, exponent: int, price: float, most_sse: float | None = None, block: int = PRICE_BLOCK) -> tuple[int, int]:
+    """(plane, coefficients of it) to send: up to the bit where the price of the last plane's worth of bits falls to `price`.
+
+    Looked at after each block of coefficients, from the first 1 on; the window slides over
+    what the plane has so far and the rest of the one before.  With most_sse bits go on
+    until the error left is within it, whatever they cost.
     """
     if not q.any():
-        return 64
-    sse = sse_by_plane(q)
-    prices, unit = price_of_planes(q, lead, neg, exponent, sse), 4.0 ** (exponent - 63)
-    stop = 64
+        return 64, 0
+    unit = 4.0 ** (exponent - 63)
+    at = (0, len(q))
+    ends = np.append(np.arange(block, len(q), block), len(q))
+    starts = np.append(0, ends[:-1])
+    old = np.zeros((2, len(ends)))
     for p in range(int(lead.max()), -1, -1):
-        if prices[p] <= price and (most_sse is None or sse[stop] * unit <= most_sse):
+        new = np.array([np.add.reduceat(x, starts) for x in gains(q, lead, neg, p)])
+        drop, bits = np.cumsum(new, axis=1) + (old.sum(axis=1)[:, None] - np.cumsum(old, axis=1))
+        low = np.flatnonzero((bits >= 1) & (drop * unit <= price * bits))
+        if len(low):
+            at = (p, int(ends[low[0]]))
             break
-        stop = p
-    return stop
+        old = new
+    if most_sse is not None:
+        # the later of the two bits
+        at = min(at, stop_by_budget(q, most_sse / unit), key=lambda x: (x[0], -x[1]))
+    return at
 
 
 def encode_vector(c: np.ndarray, p: int, sent: int, exponent: int, coder: str = "range") -> list[tuple[int, Model, bytes, bytes, bytes, int]]:
@@ -83,21 +114,23 @@ def encode_factor(u: np.ndarray, sigma: np.ndarray, price: float, weight: bool =
     w = weighted_factor(u, sigma) if weight else u
     e = scale_exponent(float(np.abs(w).max(initial=0.0)))
     q, neg, lead = quantise_array(w.ravel(), e)
+    n = w.size
     if stop == "core_plane":
-        p = min(64, max(0, core_plane)) if q.any() else 64
+        p, sent = (min(64, max(0, core_plane)), n) if q.any() else (64, 0)
     elif most_sse is not None and stop == "budget":
-        p, _ = stop_by_budget(q, most_sse / 4.0 ** (e - 63))
+        p, sent = stop_by_budget(q, most_sse / 4.0 ** (e - 63))
     else:
-        p = stop_by_price(q, lead, neg, e, price, most_sse)
+        p, sent = stop_by_price(q, lead, neg, e, price, most_sse)
     # rounding to the middle of what is unknown is worse on values that end early; each factor takes what fits it
-    kept = q & ~np.uint64((1 << p) - 1) if p < 64 else np.zeros_like(q)
-    err = [float(((restore(kept, neg, min(p, 63), w.size, e, mid) - w.ravel()) ** 2).sum()) for mid in (True, False)]
-    return {"shape": u.shape, "exponent": e, "plane": p, "weight": weight, "midpoint": err[0] <= err[1], "planes": encode_vector(w, p, w.size, e, coder) if p < 64 else []}
+    low = np.minimum(p + (np.arange(n) >= sent), 63).astype(np.uint64)
+    kept = np.where(p + (np.arange(n) >= sent) < 64, q >> low << low, np.uint64(0))
+    err = [float(((restore(kept, neg, min(p, 63), sent, e, mid) - w.ravel()) ** 2).sum()) for mid in (True, False)]
+    return {"shape": u.shape, "exponent": e, "plane": p, "sent": sent, "weight": weight, "midpoint": err[0] <= err[1], "error": min(err), "planes": encode_vector(w, p, sent, e, coder) if p < 64 else []}
 
 
 def decode_factor(f: dict, sigma: np.ndarray, coder: str = "range") -> np.ndarray:
     rows, cols = f["shape"]
-    w = decode_vector(f["planes"], rows * cols, f["plane"], rows * cols, f["exponent"], coder, f["midpoint"]).reshape(rows, cols)
+    w = decode_vector(f["planes"], rows * cols, f["plane"], f["sent"], f["exponent"], coder, f["midpoint"]).reshape(rows, cols)
     return unweighted(w, sigma) if f["weight"] else w
 
 
