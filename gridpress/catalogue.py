@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 import numpy as np
@@ -22,7 +23,7 @@ from gridpress.plans.grid import GridFrame, bin_month, bin_pct, bin_width, to_sl
 from gridpress.plans.targets import ErrorTarget, grid_stats
 from gridpress.session import table
 from gridpress.sources import cubes
-from gridpress.sources.cubes import CUBES, cents, cube, glyph_pairs_lead_cells
+from gridpress.sources.cubes import CUBES, cents, cube
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
@@ -68,9 +69,7 @@ def events_q(spark: SparkSession, d: str) -> DataFrame:
 
 def prices_q(spark: SparkSession, d: str) -> DataFrame:
     li = table(spark, d, "lineitem").select("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extendedprice")
-    w = Window.orderBy("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_shipdate", "l_extendedprice")
-    got = li.select((F.row_number().over(w) - 1).cast("long").alias("idx"), cents(F.col("l_extendedprice")).alias("q"))
-    return got.withColumn("lead", P.lead_plane(F.col("q")))
+    return P.integers(li, cents(F.col("l_extendedprice")), li.columns)
 
 
 # ---- cubes ----
@@ -81,15 +80,13 @@ for _name, _sql in {
     "order_flow": _FLOW,
     "event_pulse": _EP,
     "event_pulse_4d": "(SELECT CAST(ts AS DATE) AS day, CAST(hour(ts) AS INT) AS hour, event_type AS type, CAST(user_id % 8 AS INT) AS user8, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS v FROM events GROUP BY ALL)",
-    "glyph_pairs": "(SELECT lang, CAST(least(unicode(t[i]), 255) AS INT) AS \"left\", CAST(least(unicode(t[i + 1]), 255) AS INT) AS \"right\", count(*) AS v FROM (SELECT lang, t, unnest(range(1, length(t))) AS i FROM (SELECT lang, substr(lower(text), 1, 2000) AS t FROM documents)) GROUP BY ALL)",
+    "glyph_pairs": "(SELECT lang, CAST(least(unicode(p[1]), 255) AS INT) AS \"left\", CAST(least(unicode(p[2]), 255) AS INT) AS \"right\", count(*) AS v FROM (SELECT lang, unnest(list_zip(c[:-2], c[2:])) AS p FROM (SELECT lang, string_split(lower(text), '') AS c FROM documents) WHERE len(c) >= 2) GROUP BY ALL)",
     "dialog_len": "(SELECT CAST(conv_id % 32 AS INT) AS conv, CAST(turn AS INT) AS turn, role, CAST(sum(length(text)) AS BIGINT) AS v FROM conversations GROUP BY ALL)",
     "embed_matrix": "(SELECT vec_id, CAST(unnest(range(0, len(embedding))) AS INT) AS dim, CAST(unnest(embedding) AS DOUBLE) AS v FROM embeddings)",
     "embed_cube": "(SELECT label, rank, CAST(unnest(range(0, len(embedding))) AS INT) AS dim, CAST(unnest(embedding) AS DOUBLE) AS v FROM (SELECT label, embedding, CAST(row_number() OVER (PARTITION BY label ORDER BY vec_id) - 1 AS INT) AS rank FROM embeddings))",
     "page_bytes": "(SELECT CAST(page_id % 16 AS INT) AS page, CAST(floor((i - 1) * 16 / n) AS INT) AS bucket, unicode(html[i]) AS code, count(*) AS v FROM (SELECT page_id, html, length(html) AS n, unnest(range(1, length(html) + 1)) AS i FROM pages) WHERE unicode(html[i]) < 128 GROUP BY ALL)",
 }.items():
-    # the SQL of glyph_pairs is over text prefixes; the cube is over whole texts and has its own query
-    q(f"cube_{_name}", f"SELECT * FROM {_sql}")(lambda s, d, n=_name: (glyph_pairs_lead_cells if n == "glyph_pairs" else CUBES[n][0])(s, d))
-q("cube_glyph_pairs_whole", "SELECT lang, CAST(least(unicode(p[1]), 255) AS INT) AS \"left\", CAST(least(unicode(p[2]), 255) AS INT) AS \"right\", count(*) AS v FROM (SELECT lang, unnest(list_zip(c[:-2], c[2:])) AS p FROM (SELECT lang, string_split(lower(text), '') AS c FROM documents) WHERE len(c) >= 2) GROUP BY ALL")(lambda s, d: CUBES["glyph_pairs"][0](s, d))
+    q(f"cube_{_name}", f"SELECT * FROM {_sql}")(lambda s, d, n=_name: CUBES[n][0](s, d))
 
 
 # ---- statistics, targets, measures ----
@@ -255,6 +252,29 @@ def _(s, d):
     return s.createDataFrame([(e <= 0.05, abs(e - local) < 0.01)], "within boolean, matches_local boolean")
 
 
+@q("size_target_ok", "SELECT * FROM (VALUES ('event_pulse', 1500, true), ('event_pulse', 6000, true), ('dialog_len', 400, true), ('dialog_len', 900, true)) t(cube, asked, within)")
+def _(s, d):
+    """Archives of a size target, coded in one process and in slabs, are within its bytes."""
+    rows = []
+    for name, sizes in (("event_pulse", (1500, 6000)), ("dialog_len", (400, 900))):
+        g = cube(s, d, name)
+        for most in sizes:
+            both = [compress(g, ErrorTarget.size(most), schedule=how).bytes() for how in ("one_pass", "hybrid")]
+            rows.append((name, most, max(both) <= most))
+    return s.createDataFrame(rows, "cube string, asked int, within boolean")
+
+
+@q("slab_targets_ok", "SELECT * FROM (VALUES ('rel', 0.3, true), ('rel', 0.02, true), ('psnr', 45.0, true)) t(kind, target, within)")
+def _(s, d):
+    """Targets hold for grids of slabs, with rounding chosen by measure."""
+    g = cube(s, d, "event_pulse")
+    st, a, rows = grid_stats(g), g.dense(), []
+    for target in (ErrorTarget.rel(0.3), ErrorTarget.rel(0.02), ErrorTarget.psnr(45.0)):
+        back = decompress_array(compress(g, target, schedule="hybrid"))
+        rows.append((target.kind, target.value, bool(((a - back) ** 2).sum() <= target.to_sse(st) * (1 + 1e-9))))
+    return s.createDataFrame(rows, "kind string, target double, within boolean")
+
+
 @q("progressive_planes")
 def _(s, d):
     a = cube(s, d, "event_pulse").dense()
@@ -430,6 +450,14 @@ def _(s, d):
     return table(s, d, "events").select("event_id", v.alias("v"), (P.negabinary_value(P.negabinary(v)) == v).alias("same"))
 
 
+@q("plane_profile_events", f"""WITH {_EV}, {_RUNS}, f AS (SELECT plane, run, count(*) AS f FROM runs GROUP BY ALL), n AS (SELECT *, sum(f) OVER (PARTITION BY plane) AS n FROM f),
+e AS (SELECT plane, CAST(sum(f) AS BIGINT) AS symbols, CAST(max(run) AS BIGINT) AS longest, round(sum(f * log2(n / f)), 3) AS bits FROM n GROUP BY plane),
+b AS (SELECT CAST(p AS INT) AS plane, CAST(sum((q >> p) & 1) AS BIGINT) AS ones, round(sum(((q >> p) & 1) * idx) / nullif(sum((q >> p) & 1), 0), 4) AS centroid, count(*) FILTER (lead > p) AS verbatim FROM lv CROSS JOIN (SELECT unnest(range(0, 17)) AS p) GROUP BY p)
+SELECT plane, ones, centroid, symbols, longest, bits, verbatim FROM b LEFT JOIN e USING (plane)""")
+def _(s, d):
+    return M.plane_profile(events_q(s, d), 0, 16).withColumns({"centroid": F.round("centroid", 4), "bits": F.round("bits", 3)})
+
+
 @q("chunked_run_overhead")
 def _(s, d):
     e = events_q(s, d)
@@ -439,7 +467,7 @@ def _(s, d):
 @q("prefix_two_level", "SELECT event_id, CAST(sum(CAST(round(value * 100) AS BIGINT)) OVER (ORDER BY event_id) AS BIGINT) AS running FROM events")
 def _(s, d):
     e = table(s, d, "events").select("event_id", cents(F.col("value")).alias("c"))
-    return P.prefix_sum(e, "event_id", "c", 1000).select("event_id", "running")
+    return relops.running_sum(e, "event_id", "c").select("event_id", "running")
 
 
 # ---- baselines, spectra ----
@@ -510,6 +538,13 @@ def _(s, d):
     return t.cells(s).agg(F.count(F.when(F.abs("v") > 1e-9 * float(np.abs(t.core).max()), 1)).alias("nonzero"))
 
 
+@q("slice_norm_energy", "WITH c AS (" + ORACLES["cube_glyph_pairs"] + "), e AS (SELECT CAST(round(sum(CAST(v AS DOUBLE) * v) / 1e3) AS BIGINT) AS energy FROM c) SELECT CAST(mode AS INT) AS mode, energy FROM e CROSS JOIN (SELECT unnest(range(0, 3)) AS mode)")
+def _(s, d):
+    """Norms of a core's slices hold the grid's energy, in each mode."""
+    got = workloads.w8_slice_norms(s, d).groupBy("mode").agg(F.sum(F.col("sigma") * F.col("sigma")).alias("e"))
+    return got.select("mode", F.round(F.col("e") / 1e3).cast("long").alias("energy"))
+
+
 @q("codec_ratios")
 def _(s, d):
     rows = [(n, ratio(compress(cube(s, d, n), ErrorTarget.rel(0.1)))) for n in ("event_pulse", "dialog_len")]
@@ -591,8 +626,7 @@ q("fn_bits", "SELECT p_partkey, CAST(bit_count(p_partkey) AS INT) AS bits, p_par
 q("fn_array_norm", "SELECT vec_id, round(sqrt(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * x))), 6) AS norm, len(list_filter(embedding, lambda x: x > 0)) AS pos FROM embeddings")(lambda s, d: t_(s, d, "embeddings").select("vec_id", F.round(F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))), 6).alias("norm"), F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("pos")))
 q("fn_array_dot", "SELECT a.vec_id, round(list_inner_product(CAST(a.embedding AS DOUBLE[]), CAST(b.embedding AS DOUBLE[])), 6) AS dot FROM embeddings a JOIN embeddings b ON b.vec_id = 0")(lambda s, d: t_(s, d, "embeddings").join(F.broadcast(t_(s, d, "embeddings").where("vec_id = 0").select(F.col("embedding").alias("o"))), how="cross").select("vec_id", F.round(F.aggregate(F.zip_with("embedding", "o", lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda a, x: a + x), 6).alias("dot")))
 q("fn_map_model", "SELECT event_type, count(*) AS total, count(*) FILTER (hour(ts) = 5) AS at5 FROM events GROUP BY 1")(lambda s, d: t_(s, d, "events").groupBy("event_type", F.hour("ts").alias("h")).agg(F.count("*").alias("n")).groupBy("event_type").agg(F.map_from_entries(F.collect_list(F.struct("h", "n"))).alias("m")).select("event_type", F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda a, x: a + x).alias("total"), F.coalesce(F.try_element_at("m", F.lit(5)), F.lit(0)).alias("at5")))
-q("fn_string", "SELECT doc_id, lower(substr(text, 1, 5)) AS a, unicode(text) AS c, length(replace(text, ' ', '')) AS n, len(string_split(text, chr(10))) AS lines, regexp_replace(substr(text, 1, 20), '[aeiou]', '_', 'g') AS r FROM documents")(lambda s, d: t_(s, d, "documents").select("doc_id", F.lower(F.substring("text", 1, 5)).alias("a"), F.ascii("text").alias("c"), F.length(F.replace("text", F.lit(" "), F.lit(""))).cast("long").alias("n"), F.size(F.split("text", "\n")).cast("long").alias("lines"), F.regexp_replace(F.substring("text", 1, 20), "[aeiou]", "_").alias("r")))
-q("fn_string_whole", "SELECT doc_id, md5(lower(text)) AS a, md5(regexp_replace(text, '[aeiou]', '_', 'g')) AS r FROM documents")(lambda s, d: t_(s, d, "documents").select("doc_id", F.md5(F.lower("text").cast("binary")).alias("a"), F.md5(F.regexp_replace("text", "[aeiou]", "_").cast("binary")).alias("r")))
+q("fn_string", "SELECT doc_id, md5(lower(text)) AS a, unicode(text) AS c, length(replace(text, ' ', '')) AS n, len(string_split(text, chr(10))) AS lines, md5(regexp_replace(text, '[aeiou]', '_', 'g')) AS r FROM documents")(lambda s, d: t_(s, d, "documents").select("doc_id", F.md5(F.lower("text").cast("binary")).alias("a"), F.ascii("text").alias("c"), F.length(F.replace("text", F.lit(" "), F.lit(""))).cast("long").alias("n"), F.size(F.split("text", "\n")).cast("long").alias("lines"), F.md5(F.regexp_replace("text", "[aeiou]", "_").cast("binary")).alias("r")))
 q("fn_date", "SELECT o_orderkey, year(o_orderdate) AS y, CAST(date_trunc('month', o_orderdate) AS DATE) AS m, date_diff('day', DATE '1992-01-01', CAST(o_orderdate AS DATE)) AS n FROM orders")(lambda s, d: t_(s, d, "orders").select("o_orderkey", F.year("o_orderdate").cast("long").alias("y"), F.trunc("o_orderdate", "month").alias("m"), F.datediff(F.to_date("o_orderdate"), F.lit("1992-01-01").cast("date")).cast("long").alias("n")))
 q("json_props", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS INT) AS k FROM events")(lambda s, d: t_(s, d, "events").select("event_id", F.from_json("props", "k int")["k"].alias("k")))
 
@@ -630,15 +664,15 @@ def _(s, d):
 @q("udtf_planes", "SELECT event_id, CAST(p AS INT) AS plane, CAST((v >> p) & 1 AS INT) AS bit FROM (SELECT event_id, CAST(round(value * 100) AS BIGINT) AS v FROM events) CROSS JOIN (SELECT unnest(range(0, 20)) AS p) WHERE v > 0 AND p < length(bin(v))")
 def _(s, d):
     G.register(s)
-    t_(s, d, "events", "event_id", cents(F.col("value")).alias("v")).createOrReplaceTempView("_gridpress_events")
-    return s.sql("SELECT event_id, b.plane, b.bit FROM _gridpress_events, LATERAL bit_planes(v) b")
+    t_(s, d, "events", "event_id", cents(F.col("value")).alias("v")).createOrReplaceTempView(view := f"_events_{uuid.uuid4().hex}")
+    return s.sql(f"SELECT event_id, b.plane, b.bit FROM {view}, LATERAL bit_planes(v) b")
 
 
 @q("sql_psnr", "SELECT event_type, round(20 * log10((max(value) - min(value)) / (2 * stddev_pop(value))), 6) AS db FROM events GROUP BY 1")
 def _(s, d):
     G.register(s)
-    t_(s, d, "events", "event_type", "value").createOrReplaceTempView("_gridpress_events")
-    return s.sql("SELECT event_type, round(db, 6) AS db FROM (SELECT event_type, psnr_db(hi - lo, sd) AS db FROM (SELECT event_type, max(value) AS hi, min(value) AS lo, stddev_pop(value) AS sd FROM _gridpress_events GROUP BY event_type))")
+    t_(s, d, "events", "event_type", "value").createOrReplaceTempView(view := f"_events_{uuid.uuid4().hex}")
+    return s.sql(f"SELECT event_type, round(db, 6) AS db FROM (SELECT event_type, psnr_db(hi - lo, sd) AS db FROM (SELECT event_type, max(value) AS hi, min(value) AS lo, stddev_pop(value) AS sd FROM {view} GROUP BY event_type))")
 
 
 # ---- experiments ----

@@ -9,6 +9,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from gridpress.operators.planes import mask_growth, zero_runs
 from gridpress.plans.grid import GridFrame, GridSpec
 from gridpress.plans.targets import grid_stats
 
@@ -80,6 +81,16 @@ def plane_centroid(q: DataFrame, planes: range = range(64)) -> DataFrame:
     return q.agg(*sums).select(F.explode(row).alias("x")).select("x.*")
 
 
+def plane_profile(q: DataFrame, lo: int, hi: int) -> DataFrame:
+    """(plane, ones, centroid, symbols, longest, bits, verbatim) of planes lo..hi: what a plane holds, and what its runs cost."""
+    planes = range(lo, hi + 1)
+    runs = zero_runs(q, lo, hi)
+    longest = runs.groupBy("plane").agg(F.max("run").alias("longest"))
+    cost = entropy_bits(runs).select("plane", "symbols", "bits").join(longest, "plane")
+    held = ones_per_plane(q, planes).join(plane_centroid(q, planes), "plane").join(mask_growth(q, planes).select("plane", F.col("before").alias("verbatim")), "plane")
+    return held.join(cost, "plane", "left").select("plane", "ones", "centroid", "symbols", "longest", "bits", "verbatim")
+
+
 def plane_dots(q: DataFrame, planes: range = range(64), sample: float | None = None) -> DataFrame:
     """(plane, idx) of every 1 bit; a sample of cells only where one is asked for."""
     q = q.sample(sample, seed=1) if sample else q
@@ -90,11 +101,8 @@ def plane_dots(q: DataFrame, planes: range = range(64), sample: float | None = N
 def slice_norms(core: DataFrame, spec: GridSpec) -> DataFrame:
     """(mode, j, sigma, log10) of all slices of all modes, by grouping sets in one scan."""
     cells = core.select(*spec.coords(), (F.col("v") * F.col("v")).alias("e"))
-    cells.createOrReplaceTempView("_gridpress_core_cells")
-    sets = ", ".join(f"({a})" for a in spec.axes)
-    mode = " ".join(f"WHEN {a} IS NOT NULL THEN {n}" for n, a in enumerate(spec.axes))
-    j = ", ".join(spec.axes)
-    got = core.sparkSession.sql(f"SELECT CASE {mode} END AS mode, coalesce({j}) AS j, sqrt(sum(e)) AS sigma FROM _gridpress_core_cells GROUP BY GROUPING SETS ({sets})")
+    mode = F.coalesce(*(F.when(F.col(a).isNotNull(), F.lit(n)) for n, a in enumerate(spec.axes)))
+    got = cells.groupingSets([[F.col(a)] for a in spec.axes], *spec.axes).agg(F.sqrt(F.sum("e")).alias("sigma")).select(mode.alias("mode"), F.coalesce(*spec.axes).alias("j"), "sigma")
     return got.select("mode", "j", "sigma", F.when(F.col("sigma") > 0, F.log10("sigma")).alias("log10"))
 
 

@@ -12,80 +12,133 @@ import time
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-
+from pyspark.sql import functions as F
+from pyspark.sql import types as T
+from pyspark.sql.pandas.types import to_arrow_type
 
 from gridpress.baselines import block_xform, controls, predictive, rank_cut, set_part
 from gridpress.operators import metrics as M
+from gridpress.operators import planes as P
 from gridpress.operators import resample as R
-from gridpress.operators.codec import bit_rate, breakpoint_by_bytes, compress_array, core_array, decompress_array, factor_share, ratio
+from gridpress.operators.codec import bit_rate, compress_array, core_array, decompress_array, factor_share, ratio, rd_trace
 from gridpress.operators.entropy import ideal_bits
 from gridpress.operators.factors import plane_depth
 from gridpress.operators.planes import quantise_array, scale_exponent, split_plane
 from gridpress.operators.spectrum import factor_spectrum, grid_spectrum, spectrum_histogram
-from gridpress.operators.transform import omt_array
-from gridpress.plans.grid import GridSpec
+from gridpress.operators.transform import Transformed, _unfolded, eigen_basis, inverse_array, multiply, omt_array
+from gridpress.plans.grid import GridFrame, GridSpec
 from gridpress.plans.targets import ErrorTarget
 from gridpress.session import ship
 from gridpress.sources.cubes import cube, synthetic_array
 
-CODECS = ("plane_omt", "rank_cut", "block_xform", "predictive", "set_part")
+CODECS = ("plane_omt", "plane_omt_price", "rank_cut", "block_xform", "predictive", "set_part")
 CURVE = "cube string, codec string, knob double, bytes long, ratio double, rmse double, psnr double, sec_c double, sec_d double"
 #: knobs are PSNR targets, from which each codec's own knob follows
 PSNRS = (20.0, 30.0, 40.0, 50.0, 60.0)
+#: cells of all grids that one experiment holds in one process and sends to executors
+HELD_CELLS = 1 << 23
 
 
-def run_codec(a: np.ndarray, codec: str, db: float, width: int = 8, integer: bool = False) -> tuple[int, float, float, float]:
-    """(bytes, rmse, seconds to compress, to restore) of a codec set for a PSNR."""
+def coded(a: np.ndarray, codec: str, db: float, width: int = 8, integer: bool = False):
+    """(coded grid, its decoder) of a codec set for a PSNR.
+
+    plane_omt keeps a tenth of the error for factors and so meets the target; plane_omt_price
+    is the reference's rule, factors to the core's price, which bounds the core's error only.
+    """
     span = float(a.max() - a.min()) or 1.0
     goal = span / (2 * 10 ** (db / 20))  # the RMSE that the target allows
-    t0 = time.perf_counter()
-    if codec == "plane_omt":
-        z = compress_array(a, ErrorTarget.psnr(db), GridSpec(tuple(f"i{n}" for n in range(a.ndim)), a.shape, width, integer))
-        back = decompress_array
-    elif codec == "rank_cut":
+    if codec.startswith("plane_omt"):
+        spec = GridSpec(tuple(f"i{n}" for n in range(a.ndim)), a.shape, width, integer)
+        return compress_array(a, ErrorTarget.psnr(db), spec, policy="price" if codec.endswith("price") else "price+budget"), decompress_array
+    if codec == "rank_cut":
         energy = float((a * a).sum()) or 1.0
-        z, back = rank_cut.compress(a, energy_tail=min(0.5, goal**2 * a.size / energy)), rank_cut.decompress
-    elif codec == "block_xform":
-        z, back = block_xform.compress(a, goal * 2), block_xform.decompress
-    elif codec == "predictive":
-        z, back = predictive.compress(a, goal * math.sqrt(3) / span), predictive.decompress
-    else:
-        z, back = set_part.compress(a, goal * math.sqrt(3)), set_part.decompress
+        return rank_cut.compress(a, energy_tail=min(0.5, goal**2 * a.size / energy)), rank_cut.decompress
+    if codec == "block_xform":
+        return block_xform.compress(a, goal * 2), block_xform.decompress
+    if codec == "predictive":
+        return predictive.compress(a, goal * math.sqrt(3) / span), predictive.decompress
+    return set_part.compress(a, goal * math.sqrt(3)), set_part.decompress
+
+
+def run_codec(a: np.ndarray, codec: str, db: float, width: int = 8, integer: bool = False) -> tuple[int, float, float, float]:
+    """(bytes, rmse, seconds to compress, to restore) of a codec set for a PSNR."""
+    t0 = time.perf_counter()
+    z, back = coded(a, codec, db, width, integer)
     t1 = time.perf_counter()
     b = back(z)
     t2 = time.perf_counter()
     return z.bytes(), float(np.sqrt(((a - b) ** 2).mean())), t1 - t0, t2 - t1
 
 
-def quality_curve(spark: SparkSession, grids: dict[str, tuple[np.ndarray, int]], codecs: tuple[str, ...] = CODECS, psnrs: tuple[float, ...] = PSNRS) -> DataFrame:
-    """PSNR against ratio for cubes, codecs and targets (ratio against the original width); one run a task."""
+def at_ratio(a: np.ndarray, codec: str, ratio: float, width: int = 8, tries: int = 9):
+    """(coded grid, decoder) of the best quality whose bytes are within a ratio; None where the codec does not reach it.
+
+    plane_omt is told the bytes; the others' knobs are halved between PSNRs.
+    """
+    most = int(a.size * width / ratio)
+    if codec == "plane_omt":
+        try:
+            return compress_array(a, ErrorTarget.size(most), GridSpec(tuple(f"i{n}" for n in range(a.ndim)), a.shape, width)), decompress_array
+        except ValueError:
+            return None
+    low, high, best = 0.0, 120.0, None
+    for _ in range(tries):
+        db = (low + high) / 2
+        got = coded(a, codec, db, width)
+        if got[0].bytes() <= most:
+            best, low = got, db
+        else:
+            high = db
+    return best
+
+
+def dealt(spark: SparkSession, grids: dict[str, tuple[np.ndarray, int]], jobs: list[tuple], fields: str, schema: str, one) -> DataFrame:
+    """Rows of one(grid, width, *job) for jobs (cube, ...); a job is a task, grids travel by a broadcast of checked size."""
+    if sum(a.size for a, _ in grids.values()) > HELD_CELLS:
+        raise ValueError("grids of an experiment are too large to be held by one process")
     ship(spark)
     shared = spark.sparkContext.broadcast(grids)
-    jobs = spark.createDataFrame([(g, c, float(p)) for g in grids for c in codecs for p in psnrs], "cube string, codec string, knob double").repartition(min(64, len(grids) * len(codecs) * len(psnrs)))
+    names = [f.split()[0] for f in fields.split(", ")]
+    rows = spark.createDataFrame(jobs, fields).repartition(max(1, min(64, len(jobs))))
+    types = [T._parse_datatype_string(f.strip().split(" ", 1)[1]) for f in schema.split(", ")]
+    out = pa.schema([(f.strip().split(" ", 1)[0], to_arrow_type(t)) for f, t in zip(schema.split(", "), types, strict=True)])
 
     def run(batches):
         for b in batches:
-            rows = []
-            for g, c, p in zip(*(b.column(n).to_pylist() for n in ("cube", "codec", "knob")), strict=True):
-                a, width = shared.value[g]
-                size, e, tc, td = run_codec(a, c, p, width)
-                span = float(a.max() - a.min())
-                rows.append((g, c, p, size, a.size * width / size, e, 20 * math.log10(span / (2 * e)) if e > 0 and span > 0 else None, tc, td))
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(list(x), t) for x, t in zip(zip(*rows, strict=True), (pa.string(), pa.string(), pa.float64(), pa.int64(), *[pa.float64()] * 5), strict=True)], names=CURVE.replace(",", "").split(" ")[::2])
+            for job in zip(*(b.column(n).to_pylist() for n in names), strict=True):
+                got = list(one(*shared.value[job[0]], *job))
+                if got:
+                    yield pa.RecordBatch.from_pylist([dict(zip(out.names, r, strict=True)) for r in got], schema=out)
+
+    return rows.mapInArrow(run, schema)
+
 
-    return jobs.mapInArrow(run, CURVE)
+def psnr_or_none(a: np.ndarray, b: np.ndarray) -> float | None:
+    v = M.psnr_arrays(a, b)
+    return None if math.isinf(v) else v
+
+
+def quality_curve(spark: SparkSession, grids: dict[str, tuple[np.ndarray, int]], codecs: tuple[str, ...] = CODECS, psnrs: tuple[float, ...] = PSNRS) -> DataFrame:
+    """PSNR against ratio for cubes, codecs and targets (ratio against the original width); one run a task."""
+
+    def one(a, width, g, c, p):
+        size, e, tc, td = run_codec(a, c, p, width)
+        span = float(a.max() - a.min())
+        yield g, c, p, size, a.size * width / size, e, 20 * math.log10(span / (2 * e)) if e > 0 and span > 0 else None, tc, td
+
+    return dealt(spark, grids, [(g, c, float(p)) for g in grids for c in codecs for p in psnrs], "cube string, codec string, knob double", CURVE, one)
 
 
 def lead_zone(curve: DataFrame, steps: int = 32) -> DataFrame:
     """(cube, lo, hi, share): the ratios at which plane_omt's interpolated PSNR leads, of a grid over its own ratios.
 
-    A codec that does not reach a ratio is beaten there; below its least ratio it keeps the PSNR of that.
+    A codec that does not reach a ratio is beaten there; below its least ratio it keeps the
+    PSNR of that.  The variant of the method by prices is not set against it.
     """
 
     def zone(key: tuple, t: pa.Table) -> pa.Table:
         df = t.to_pandas().dropna()
-        curves = {c: g.sort_values("ratio") for c, g in df.groupby("codec")}
+        curves = {c: g.sort_values("ratio") for c, g in df.groupby("codec") if c != "plane_omt_price"}
         own = curves.get("plane_omt")
         at = np.geomspace(own.ratio.min(), own.ratio.max(), steps) if own is not None else np.array([])
         lead = []
@@ -114,40 +167,71 @@ def w2_time_varying(spark: SparkSession, d: str) -> DataFrame:
     return quality_curve(spark, grids(spark, d, ("order_flow", "event_pulse_4d")))
 
 
+def core_planes(spark: SparkSession, a: np.ndarray) -> DataFrame:
+    """(idx, q, neg, lead) of a grid's core, by the relational plane coder."""
+    return P.quantise(GridFrame.of(spark, omt_array(a).core).df)
+
+
 def w3_threshold_planes(spark: SparkSession, d: str) -> DataFrame:
-    """Ones of each plane and the plane reached at stated ratios."""
-    c = omt_array(cube(spark, d, "trade_value").dense()).core.ravel()
-    q, _, _ = quantise_array(c, scale_exponent(float(np.abs(c).max())))
-    stops = {r: breakpoint_by_bytes(c, len(c) * 8 // r) for r in (1000, 300, 100, 50)}
-    rows = [(p, int(((q >> np.uint64(p)) & np.uint64(1)).sum()), len(c) // 2, [r for r, s in stops.items() if s == p]) for p in range(63, -1, -1)]
-    return spark.createDataFrame(rows, "plane int, ones long, half long, stops_at_ratio array<int>")
+    """Ones of each plane, and the stated ratios at which an archive, all its parts counted, stops there."""
+    g = cube(spark, d, "trade_value")
+    a = g.dense()
+    stops: dict[int, list[int]] = {}
+    for r in (1000, 300, 100, 50):
+        try:
+            z = compress_array(a, ErrorTarget.size(a.size * g.spec.width // r), g.spec)
+        except ValueError:  # smaller than any archive of this grid
+            continue
+        stops.setdefault(z.header["plane"], []).append(r)
+    at = F.create_map(*(F.lit(x) for p, rs in stops.items() for x in (p, rs))) if stops else F.lit(None).cast("map<int,array<int>>")
+    ones = M.ones_per_plane(core_planes(spark, a))
+    return ones.select("plane", "ones", F.lit(a.size // 2).cast("long").alias("half"), F.coalesce(F.try_element_at(at, F.col("plane")), F.array().cast("array<int>")).alias("stops_at_ratio"))
 
 
 def w4_centroids(spark: SparkSession, d: str) -> DataFrame:
-    c = omt_array(cube(spark, d, "trade_value").dense()).core.ravel()
-    q, _, _ = quantise_array(c, scale_exponent(float(np.abs(c).max())))
-    rows = []
-    for p in range(63, -1, -1):
-        at = np.flatnonzero((q >> np.uint64(p)) & np.uint64(1))
-        rows.append((p, len(at), float(at.mean()) if len(at) else None, len(c) / 2))
-    return spark.createDataFrame(rows, "plane int, ones long, centroid double, middle double")
+    a = cube(spark, d, "trade_value").dense()
+    q = core_planes(spark, a).cache()
+    got = M.ones_per_plane(q).join(M.plane_centroid(q), "plane")
+    return got.select("plane", "ones", "centroid", F.lit(a.size / 2).alias("middle")).orderBy(F.desc("plane"))
 
 
-def w5_w6_runs_and_rates(spark: SparkSession, d: str, name: str = "trade_value") -> DataFrame:
-    """Symbols, longest run, ideal bits and rate of each plane: leading bits in runs, and all bits verbatim for comparison."""
-    c = omt_array(cube(spark, d, name).dense()).core.ravel()
+def _core_codes(a: np.ndarray):
+    c = omt_array(a).core.ravel()
     q, neg, lead = quantise_array(c, scale_exponent(float(np.abs(c).max())))
-    rows = []
     for p in range(63, -1, -1):
-        runs, raw, signs = split_plane(q, lead, neg, p)
-        bits = ideal_bits(runs) + len(raw)
-        rows.append((p, len(runs), int(runs.max(initial=0)), float(bits), float(bits / len(c)), len(raw)))
-    return spark.createDataFrame(rows, "plane int, symbols long, longest long, bits double, rate double, verbatim long")
+        yield p, *split_plane(q, lead, neg, p)
 
 
-def w8_slice_norms(spark: SparkSession, d: str) -> DataFrame:
-    from gridpress.plans.grid import GridFrame
+def w5_w6_runs_and_rates(spark: SparkSession, d: str, names: tuple[str, ...] = ("trade_value", "glyph_pairs")) -> DataFrame:
+    """Symbols, longest run, ideal bits and rate of each plane: leading bits in runs, and all bits verbatim for comparison."""
 
+    def one(a, _, name):
+        for p, runs, raw, _s in _core_codes(a):
+            bits = ideal_bits(runs) + len(raw)
+            yield name, p, len(runs), int(runs.max(initial=0)), float(bits), float(bits / a.size), len(raw)
+
+    return dealt(spark, grids(spark, d, names), [(n,) for n in names], "cube string", "cube string, plane int, symbols long, longest long, bits double, rate double, verbatim long", one)
+
+
+def w6_core_profile(spark: SparkSession, d: str) -> DataFrame:
+    """The same by the relational operators, for the planes of a core that an archive of relative error 0.001 sends."""
+    a = cube(spark, d, "event_pulse").dense()
+    stop = compress_array(a, ErrorTarget.rel(1e-3)).header["plane"]
+    return M.plane_profile(core_planes(spark, a).cache(), stop, 63)
+
+
+def w5_run_lengths(spark: SparkSession, d: str, names: tuple[str, ...] = ("trade_value", "glyph_pairs")) -> DataFrame:
+    """The distribution of run lengths in each plane of the cores."""
+
+    def one(a, _, name):
+        for p, runs, _r, _s in _core_codes(a):
+            for run, freq in zip(*(x.tolist() for x in np.unique(runs, return_counts=True)), strict=True):
+                yield name, p, run, freq
+
+    return dealt(spark, grids(spark, d, names), [(n,) for n in names], "cube string", "cube string, plane int, run long, freq long", one)
+
+
+def w8_slice_norms(spark: SparkSession, d: str) -> DataFrame:
     a = cube(spark, d, "glyph_pairs").dense()
     g = GridFrame.of(spark, omt_array(a).core)
     return M.slice_norms(g.df, g.spec)
@@ -157,66 +241,147 @@ def w9_round_trips(spark: SparkSession, d: str) -> DataFrame:
     return quality_curve(spark, grids(spark, d, ("ship_density",), ("cosines", "bump")), psnrs=(30.0, 45.0))
 
 
+def brick_ladder(spark: SparkSession, held: dict[str, tuple[np.ndarray, int]], codecs: tuple[str, ...], ratios: tuple[float, ...], edge: int = 16) -> DataFrame:
+    """A centre brick's PSNR by codec at stated ratios; null where a codec does not reach one.
+
+    plane_omt restores the brick alone, from factor rows; the others restore the grid.
+    """
+
+    def one(a, width, name, codec, ask):
+        at = tuple(n // 2 for n in a.shape)
+        e = min(edge, *a.shape)
+        box = tuple(slice(max(0, c - e // 2), c - e // 2 + e) for c in at)
+        got = at_ratio(a, codec, ask, width)
+        if got is None:
+            yield name, codec, ask, None, None
+            return
+        z, back = got
+        part = decompress_array(R.brick(z, at, e)) if codec == "plane_omt" else back(z)[box]
+        yield name, codec, ask, a.size * width / z.bytes(), psnr_or_none(a[box], part)
+
+    return dealt(spark, held, [(g, c, float(r)) for g in held for c in codecs for r in ratios], "cube string, codec string, asked double", "cube string, codec string, asked double, ratio double, brick_db double", one)
+
+
 def w10_bricks(spark: SparkSession, d: str) -> DataFrame:
-    """A centre brick's PSNR at falling quality."""
-    rows = []
-    for name, a in (("bump", synthetic_array("bump", (32, 32, 32))), ("trade_value", cube(spark, d, "trade_value").dense())):
-        for db in (47.0, 38.0, 30.0):
-            z = compress_array(a, ErrorTarget.psnr(db))
-            at = tuple(n // 2 for n in a.shape)
-            edge = min(16, *a.shape)
-            got = decompress_array(R.brick(z, at, edge))
-            ref = a[tuple(slice(max(0, c - edge // 2), c - edge // 2 + edge) for c in at)]
-            v = M.psnr_arrays(ref, got)
-            rows.append((name, db, ratio(z), None if math.isinf(v) else v))
-    return spark.createDataFrame(rows, "cube string, target_db double, ratio double, brick_db double")
+    """The ladder of a centre brick, the method beside its four baselines."""
+    return brick_ladder(spark, grids(spark, d, ("trade_value",), ("bump",)), ("plane_omt", "rank_cut", "block_xform", "predictive", "set_part"), (10.0, 40.0, 160.0, 400.0))
+
+
+SPECTRA = (("event_pulse",), ("cosines",))
 
 
 def w11_spectra(spark: SparkSession, d: str) -> DataFrame:
-    """High-frequency share and magnitude bins of restored grids at several qualities."""
-    rows = []
-    for name, a in (("event_pulse", cube(spark, d, "event_pulse").dense()), ("cosines", synthetic_array("cosines", (24, 24, 24)))):
-        for db in (20.0, 30.0, 40.0, 60.0):
-            z = compress_array(a, ErrorTarget.psnr(db))
-            b = decompress_array(z)
-            top = np.array([(np.abs(np.fft.rfftfreq(len(u)))[:, None] * factor_spectrum(u)).sum() / max(factor_spectrum(u).sum(), 1e-300) for u in z.factors()])
-            rows.append((name, db, ratio(z), M.high_freq_share(grid_spectrum(b) ** 2), M.high_freq_share(grid_spectrum(a) ** 2), float(top.mean()), len(spectrum_histogram(b))))
-    return spark.createDataFrame(rows, "cube string, target_db double, ratio double, high_share double, high_share_original double, factor_frequency double, bins int")
+    """High-frequency share of restored grids by codec and quality, and the mean frequency of the method's factors."""
+
+    def one(a, width, name, codec, db):
+        z, back = coded(a, codec, db, width)
+        b = back(z)
+        mean = None
+        if codec == "plane_omt":
+            top = [(np.abs(np.fft.rfftfreq(len(u)))[:, None] * factor_spectrum(u)).sum() / max(factor_spectrum(u).sum(), 1e-300) for u in z.factors()]
+            mean = float(np.mean(top))
+        yield name, codec, db, a.size * width / z.bytes(), M.high_freq_share(grid_spectrum(b) ** 2), M.high_freq_share(grid_spectrum(a) ** 2), mean
 
+    held = grids(spark, d, *SPECTRA, edge=24)
+    jobs = [(g, c, p) for g in held for c in ("plane_omt", "rank_cut", "block_xform", "predictive", "set_part") for p in (20.0, 30.0, 40.0, 60.0)]
+    return dealt(spark, held, jobs, "cube string, codec string, target_db double", "cube string, codec string, target_db double, ratio double, high_share double, high_share_original double, factor_frequency double", one)
 
-def w12_w13_clock(spark: SparkSession, d: str, name: str = "event_pulse") -> DataFrame:
-    """Seconds of the stages of a round trip."""
+
+def w11_histograms(spark: SparkSession, d: str) -> DataFrame:
+    """Histograms of spectral magnitudes, in quarter decades, of the original and of restored grids."""
+
+    def one(a, width, name, codec, db):
+        b = a
+        if codec != "original":
+            z, back = coded(a, codec, db, width)
+            b = back(z)
+        for k, n in spectrum_histogram(b).items():
+            yield name, codec, db, k / 4, n
+
+    held = grids(spark, d, *SPECTRA, edge=24)
+    jobs = [(g, "original", 0.0) for g in held] + [(g, c, p) for g in held for c in ("plane_omt", "block_xform", "predictive", "set_part") for p in (20.0, 40.0)]
+    return dealt(spark, held, jobs, "cube string, codec string, target_db double", "cube string, codec string, target_db double, log10_magnitude double, n long", one)
+
+
+def w12_times(spark: SparkSession, d: str) -> DataFrame:
+    """Seconds and MB/s both ways, a small and a large grid, five codecs, over a range of ratios."""
+
+    def one(a, width, name, codec, db):
+        size, _, tc, td = run_codec(a, codec, db, width)
+        mb = a.size * width / 1e6
+        yield name, codec, db, a.size * width / size, mb, tc, td, mb / tc, mb / td, tc / td
+
+    held = grids(spark, d, ("event_pulse", "trade_value"), ("cosines",), edge=64)
+    jobs = [(g, c, p) for g in held for c in ("plane_omt", "rank_cut", "block_xform", "predictive", "set_part") for p in (20.0, 40.0, 60.0)]
+    return dealt(spark, held, jobs, "cube string, codec string, target_db double", "cube string, codec string, target_db double, ratio double, mb double, sec_c double, sec_d double, mb_s_c double, mb_s_d double, asymmetry double", one)
+
+
+def round_trip_stages(a: np.ndarray, db: float) -> list[tuple[str, str, float]]:
+    """(direction, stage, seconds): eigen bases, projection and planes one way, planes, factors and products back."""
+    c = M.StageClock()
+    with c.stage("eigen"):
+        bases = [eigen_basis(_unfolded(a, n) @ _unfolded(a, n).T) for n in range(a.ndim)]
+    with c.stage("projection"):
+        core = a
+        for n, (_, u) in enumerate(bases):
+            core = multiply(core, u, n, transpose=True)
+    t = Transformed(GridSpec(tuple(f"i{n + 1}" for n in range(a.ndim)), core.shape), [u for _, u in bases], [lam for lam, _ in bases], core)
+    with c.stage("planes"):
+        z = compress_array(a, ErrorTarget.psnr(db), transformed=t)
+    up = [("compress", s, v) for s, v in c.rows()]
     c = M.StageClock()
-    with c.stage("load"):
-        a = cube(spark, d, name).dense()
-    with c.stage("eigen_and_projection"):
-        t = omt_array(a)
     with c.stage("planes"):
-        z = compress_array(a, ErrorTarget.psnr(40.0), transformed=t)
-    c.seconds["compress"] = c.seconds["eigen_and_projection"] + c.seconds["planes"]
-    with c.stage("decode_planes"):
-        core_array(z)
-    with c.stage("decompress"):
-        decompress_array(z)
-    return spark.createDataFrame([*c.rows(), ("asymmetry", M.asymmetry(c))], "stage string, seconds double")
+        got = core_array(z)
+    with c.stage("factors"):
+        u = z.factors()
+    with c.stage("products"):
+        inverse_array(got, u, skip_zero_slices=True)
+    return up + [("decompress", s, v) for s, v in c.rows()]
 
 
-def w14_decimation(spark: SparkSession, d: str) -> DataFrame:
-    """Two-fold decimation by three filters against an ideal low-pass of the original."""
+def w12_w13_clock(spark: SparkSession, d: str) -> DataFrame:
+    """Seconds of the stages of a round trip, loading and saving included, of a small and a large grid at three qualities."""
+    import tempfile
+
+    rows = []
+    for name in ("event_pulse", "trade_value"):
+        t0 = time.perf_counter()
+        g = cube(spark, d, name)
+        a = g.dense()
+        load = time.perf_counter() - t0
+        for db in (20.0, 40.0, 60.0):
+            z = compress_array(a, ErrorTarget.psnr(db), g.spec)
+            held = tempfile.TemporaryFile()  # archives of one process are files of it
+            t0 = time.perf_counter()
+            for _, _, _, *parts in z.segments:
+                held.writelines(parts)
+            held.flush()
+            save = time.perf_counter() - t0
+            held.close()
+            stages = round_trip_stages(a, db)
+            stages = [("compress", "load", load), *[s for s in stages if s[0] == "compress"], ("compress", "save", save), *[s for s in stages if s[0] == "decompress"]]
+            c, back = (sum(v for way, s, v in stages if way == x and s not in ("load", "save")) for x in ("compress", "decompress"))
+            rows += [(name, db, ratio(z), *s) for s in stages] + [(name, db, ratio(z), "both", "asymmetry", c / back)]
+    return spark.createDataFrame(rows, "cube string, target_db double, ratio double, direction string, stage string, seconds double")
+
+
+def w14_decimation(spark: SparkSession, d: str, ask: float = 7.5) -> DataFrame:
+    """Two-fold decimation by three filters, from archives of the reference's ratio, against an ideal low-pass of the original."""
     rows = []
     smooth = synthetic_array("cosines", (40, 40, 40)) + 0.3 * np.cos(40 * np.linspace(0, np.pi, 40))[:, None, None]
-    for name, a in (("ship_density", cube(spark, d, "ship_density").dense()), ("cosines", smooth)):
+    g = cube(spark, d, "ship_density")
+    for name, a, width in (("ship_density", g.dense(), g.spec.width), ("cosines", smooth, 8)):
         a = a[tuple(slice(0, n - n % 2) for n in a.shape)]
         f = np.fft.fftn(a)
         for axis, n in enumerate(a.shape):
             keep = np.abs(np.fft.fftfreq(n)) < 0.25
             f = f * keep.reshape([-1 if i == axis else 1 for i in range(a.ndim)])
         ideal = np.fft.ifftn(f).real[(slice(None, None, 2),) * a.ndim]
-        z = compress_array(a, ErrorTarget.psnr(45.0))
+        z = compress_array(a, ErrorTarget.size(int(a.size * width / ask)), GridSpec(tuple(f"i{n}" for n in range(a.ndim)), a.shape, width))
         for how in ("pick", "box", "lanczos2"):
             got = decompress_array(R.decimate(z, 2, how))
-            rows.append((name, how, float(np.sqrt(((got - ideal) ** 2).mean()))))
-    return spark.createDataFrame(rows, "cube string, how string, rmse_to_lowpass double")
+            rows.append((name, how, ratio(z), float(np.sqrt(((got - ideal) ** 2).mean()))))
+    return spark.createDataFrame(rows, "cube string, how string, ratio double, rmse_to_lowpass double")
 
 
 def w15_sweeps(spark: SparkSession, d: str) -> DataFrame:
@@ -248,21 +413,27 @@ def w16_plane_depths(spark: SparkSession, d: str) -> DataFrame:
 def w17_orders_and_coders(spark: SparkSession, d: str) -> DataFrame:
     """C against F order, range against prefix coder, split against all-run and all-raw planes."""
     rows = []
-    for name in ("ship_density", "event_pulse"):
+    for name in ("ship_density", "event_pulse", "trade_value", "dialog_len"):
         a = cube(spark, d, name).dense()
-        for label, kw in (("C", {}), ("F", {"order": "F"}), ("huffman", {"coder": "huffman"}), ("all_run", {"mode": "all_run"}), ("all_raw", {"mode": "all_raw"})):
+        for label, kw in (("C", {}), ("F", {"order": "F"}), ("huffman", {"coder": "huffman"}), ("all_run", {"mode": "all_run"}), ("all_raw", {"mode": "all_raw"}), ("inline signs", {"signs": "inline"})):
             rows.append((name, label, compress_array(a, ErrorTarget.rel(0.1), **kw).core_bytes()))
     return spark.createDataFrame(rows, "cube string, variant string, core_bytes long")
 
 
 def w18_original_width(spark: SparkSession, d: str) -> DataFrame:
-    """An integer cube cast to doubles still counts its own width; lossless controls beside it."""
+    """An integer cube cast to doubles still counts its own width; all codecs, with lossless controls beside them."""
     a = cube(spark, d, "ship_density").dense()
-    z = predictive.compress(a, 1e-2)
-    rows = [("predictive", a.size / z.bytes()), ("lzma_u8", a.size / controls.lossless(a, "lzma", "<u1")), ("zlib_u8", a.size / controls.lossless(a, "zlib", "<u1")), ("float32", a.size / controls.to_float32(a)[1])]
+    rows = [(c, a.size / coded(a, c, 40.0, 1, True)[0].bytes()) for c in CODECS]
+    rows += [("lzma_u8", a.size / controls.lossless(a, "lzma", "<u1")), ("zlib_u8", a.size / controls.lossless(a, "zlib", "<u1")), ("float32", a.size / controls.to_float32(a)[1])]
     return spark.createDataFrame(rows, "codec string, ratio double")
 
 
+def rd_curve(spark: SparkSession, d: str) -> DataFrame:
+    """The rate-distortion trace of a core: ideal bits, squared error left and price after each block of each plane."""
+    rows = rd_trace(omt_array(cube(spark, d, "event_pulse").dense()).core, 1024)
+    return spark.createDataFrame(rows, "plane int, sent long, bits double, sse double, price double")
+
+
 def flagship(spark: SparkSession, d: str) -> DataFrame:
     """Compress the event cube at relative error 0.1, restore it, and audit; one row a stage."""
     from gridpress.operators.codec import audit
@@ -276,5 +447,5 @@ def flagship(spark: SparkSession, d: str) -> DataFrame:
     return spark.createDataFrame(rows, "target double, rel_error double, core_sse double, sse double, bytes long, ratio double, within boolean")
 
 
-WORKLOADS = {f.__name__: f for f in (w1_quality, w2_time_varying, w3_threshold_planes, w4_centroids, w5_w6_runs_and_rates, w8_slice_norms, w9_round_trips, w10_bricks, w11_spectra, w12_w13_clock, w14_decimation, w15_sweeps, w16_plane_depths, w17_orders_and_coders, w18_original_width)}
+WORKLOADS = {f.__name__: f for f in (w1_quality, w2_time_varying, w3_threshold_planes, w4_centroids, w5_w6_runs_and_rates, w5_run_lengths, w6_core_profile, w8_slice_norms, w9_round_trips, w10_bricks, w11_spectra, w11_histograms, w12_times, w12_w13_clock, w14_decimation, w15_sweeps, w16_plane_depths, w17_orders_and_coders, w18_original_width, rd_curve)}
 
