@@ -30,15 +30,6 @@ def test_rank_cut_codes_cover_the_whole_matrix(spark, tmp_path):
     assert len(codes) == 3 and got == dict(zip(v.tolist(), n.tolist()))
 
 
-def test_near_dedup_compares_different_texts_under_one_id(spark):
-    import corpus_pipeline
-
-    words = [" ".join(f"w{k}x{i}" for i in range(40)) for k in range(4)]
-    rows = [(9, words[0]), (2, words[0]), (4, words[1]), (4, words[2]), (4, words[2]), (7, words[3]), (4, words[3])]
-    got = corpus_pipeline.drop_near_duplicates(spark, spark.createDataFrame(rows, "doc_id long, text string"), "").collect()
-    assert sorted(map(tuple, got)) == sorted([(2, words[0]), (4, words[1]), (4, words[2]), (4, words[3])])
-
-
 def test_centroids_of_all_planes(spark):
     from gridpress.workloads import w4_centroids
 
