@@ -1,6 +1,8 @@
 """Fixed virtual slots: records hash into slots, slots map to shards through a versioned table.
 
 Only DataFrame expressions.  The law kept is `bytes`: shard sizes are near equal.
+The map is a stored table with one row for each version and slot: records read their
+shard from its latest version, and rebalancing adds a version in which few slots move.
 A record's group (equal texts) hashes to one virtual slot, so copies stay
 together; a group heavier than a stated share of a shard is dealt over all slots
 by its id instead, as one shard could not hold it evenly.
@@ -12,10 +14,13 @@ columns are left out of the result.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.errors import AnalysisException
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from gridpress.session import cut, shared_folder
+
 SLOTS = 4096
 SPREAD = 16
 HEAVY_SHARE = 0.9
@@ -91,8 +96,44 @@ def rebalanced(current: DataFrame, sizes: DataFrame, shards: int) -> DataFrame:
     return marked.join(dealt, "virtual_slot", "left").select((F.col("version") + 1).alias("version"), "virtual_slot", F.coalesce("new", "shard").alias("shard"), "bytes")
 
 
-def shard_documents(docs: DataFrame, shards: int = 8, slots: int = SLOTS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Shard, virtual slot and place of each record.
+def store_version(mapped: DataFrame, path: str, version: int) -> DataFrame:
+    """Add a version of a map to the table at `path`, and give it back as read from there.
+
+    Versions are folders of their own, so a version is there whole or not at all, and
+    storing one again replaces it.
+    """
+    mapped.drop("version").coalesce(1).write.mode("overwrite").parquet(f"{path}/version={version}")
+    return map_of(stored_map(mapped.sparkSession, path), version)
+
+
+def stored_map(spark: SparkSession, path: str) -> DataFrame:
+    """All versions of a stored map: version, virtual_slot, shard, bytes."""
+    return spark.read.schema("virtual_slot int, shard int, bytes long, version int").parquet(path)
+
+
+def map_of(table: DataFrame, version: int) -> DataFrame:
+    """One version of a stored map: one row for each slot."""
+    return table.where(F.col("version") == F.lit(version))
+
+
+def latest(spark: SparkSession, path: str) -> int | None:
+    """The last version stored at a path, or None where none is."""
+    try:
+        return stored_map(spark, path).agg(F.max("version")).first()[0]
+    except AnalysisException as e:
+        if e.getCondition() != "PATH_NOT_FOUND":
+            raise
+        return None
+
+
+def shard_documents(docs: DataFrame, shards: int = 8, slots: int = SLOTS, id_col: str = "doc_id", text_col: str = "text", path: str | None = None) -> DataFrame:
+    """Shard, virtual slot and place of each record, with its shard in the map's next version.
+
+    The map's versions are stored at a path, by default a new one in the shared folder: an
+    empty one gets version 1 from the slots' sizes, and one that has a map keeps to its
+    latest version.  The next version, for one shard more, is stored beside it, and
+    `next_shard` reads it back.  What is broadcast has slots x SPREAD rows at most, whatever
+    the input.
 
     `slot` counts a shard's records from 0 without gaps.  It is the record's rank
     in its part of a virtual slot plus the records before that part, which come
@@ -100,13 +141,21 @@ def shard_documents(docs: DataFrame, shards: int = 8, slots: int = SLOTS, id_col
     """
     rows = slotted(docs, shards, slots, id_col, text_col)
     parts = rows.groupBy("virtual_slot", "part").agg(F.sum("size").alias("bytes"), F.count("*").alias("rows"))
-    sizes = parts.groupBy("virtual_slot").agg(F.sum("bytes").alias("bytes"))
-    mapped = slot_map(sizes, shards)
+    # at most slots x SPREAD rows, written down: the map, its next version and the starts all read them
+    parts = cut(parts)
+    spark = docs.sparkSession
+    every = spark.range(slots).select(F.col("id").cast("int").alias("virtual_slot"))
+    sizes = every.join(parts.groupBy("virtual_slot").agg(F.sum("bytes").alias("bytes")), "virtual_slot", "left").select("virtual_slot", F.coalesce("bytes", F.lit(0)).alias("bytes"))
+    version = latest(spark, path) if path else None
+    path = path or shared_folder(spark, "slot_map")
+    mapped = map_of(stored_map(spark, path), version) if version else store_version(slot_map(sizes, shards), path, 1)
+    grown = store_version(rebalanced(mapped, sizes, shards + 1), path, (version or 1) + 1)
+    mapped = mapped.select("virtual_slot", "shard", "version").join(grown.select("virtual_slot", F.col("shard").alias("next_shard")), "virtual_slot")
     before = F.sum("rows").over(Window.partitionBy("shard").orderBy("virtual_slot", "part").rowsBetween(Window.unboundedPreceding, -1))
-    starts = parts.join(F.broadcast(mapped.select("virtual_slot", "shard")), "virtual_slot").select("virtual_slot", "part", "shard", F.coalesce(before, F.lit(0)).alias("before"))
+    starts = parts.join(F.broadcast(mapped), "virtual_slot").select("virtual_slot", "part", "shard", "version", "next_shard", F.coalesce(before, F.lit(0)).alias("before"))
     rank = F.row_number().over(Window.partitionBy("virtual_slot", "part").orderBy("doc_id", "text_crc32", "size"))
     return (
         rows.withColumn("rank", rank)
         .join(F.broadcast(starts), ["virtual_slot", "part"])
-        .select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", (F.col("before") + F.col("rank") - 1).cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"), "virtual_slot")
+        .select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", (F.col("before") + F.col("rank") - 1).cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"), "virtual_slot", F.col("version").alias("map_version"), "next_shard")
     )

@@ -34,6 +34,23 @@ def test_map_versions(spark, prose):
     assert 0 < len(moved) < 0.25 * len(a)
 
 
+def test_map_is_stored_and_kept_to(spark, prose, tmp_path):
+    path = str(tmp_path / "map")
+    docs = spark.createDataFrame([(i, prose(20)) for i in range(300)], "doc_id long, text string")
+    one = {r.doc_id: r for r in sharding.shard_documents(docs, path=path).collect()}
+    assert sharding.latest(spark, path) == 2 and {r.map_version for r in one.values()} == {1}
+    assert {r.next_shard for r in one.values()} == set(range(9))
+    assert all(r.next_shard in (r.shard, 8) or r.next_shard < 8 for r in one.values())
+    assert sum(r.next_shard != r.shard for r in one.values()) < 0.3 * len(one)
+    table = sharding.stored_map(spark, path)
+    assert table.groupBy("version").count().collect() and table.where("version = 1").count() == sharding.SLOTS == table.where("version = 2").count()
+    # the next run keeps to the latest version, also for records that were not there before
+    more = spark.createDataFrame([(i, prose(20)) for i in range(300, 500)], "doc_id long, text string").union(docs)
+    two = {r.doc_id: r for r in sharding.shard_documents(more, shards=9, path=path).collect()}
+    assert len(two) == 500 and {r.map_version for r in two.values()} == {2}
+    assert all(two[i].shard == one[i].next_shard for i in one)
+
+
 def test_messy_and_empty(spark, messy):
     got = sharding.shard_documents(messy).collect()
     assert len(got) == 8 and {r.size for r in got if r.doc_id == 2} == {1}
