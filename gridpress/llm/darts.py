@@ -298,6 +298,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     place = rooted(reps.select("k1", "k2", "node")).select("k1", "k2", "root")
     placed = keyed.select("doc_id", "k1", "k2").join(place, ["k1", "k2"]).groupBy("doc_id").agg(F.min("root").alias("root"))
     alone = sk.where("n = 0").select("doc_id").distinct().join(placed, "doc_id", "left_anti").select("doc_id", F.col("doc_id").alias("class_id"), F.lit(1).cast("long").alias("class_size"))
-    named = placed.groupBy("root").agg(F.min("doc_id").alias("class_id"), F.count("*").alias("class_size"))
+    # written down, so that the join can deal out a class of very many members
+    named = cut(placed.groupBy("root").agg(F.min("doc_id").alias("class_id"), F.count("*").alias("class_size")))
     every = placed.join(named, "root").select("doc_id", "class_id", "class_size").union(alone)
     return every.withColumn("kept", F.col("doc_id") == F.col("class_id"))
