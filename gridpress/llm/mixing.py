@@ -21,6 +21,8 @@ WORD = r"[^\x20\x09-\x0D]+"
 WEIGHTS = (3, 1, 2)
 SHARE, CEILING = 1.5, 2.0
 HASH_BITS, STEP_BITS = 60, 12
+#: tables of one row a source are broadcast up to this many rows; beyond, rows meet them by shuffles
+BROADCAST_SOURCES, SALTS = 1 << 16, 64
 
 
 def words(text: Column) -> Column:
@@ -54,20 +56,25 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, share:
     return t.select("source", "source_size", F.least(F.col("top"), F.col("w") * level).alias("target"))
 
 
+def _few(table: DataFrame) -> bool:
+    return table.limit(BROADCAST_SOURCES + 1).count() <= BROADCAST_SOURCES
+
+
 def _thresholds(rows: DataFrame, need: DataFrame) -> DataFrame:
     """source, cut, left, at: words under hash `cut` are within the need, `left` of it remain, `at` words have that hash.
 
     rows: source, h, size.  Each round keeps one row for each source; the
     histogram of a round has at most 2^STEP_BITS buckets for each source.
     """
+    small = F.broadcast if _few(need) else (lambda df: df)
     state = need.select("source", F.lit(0).cast("long").alias("prefix"), F.col("need").alias("left"))
     for used in range(STEP_BITS, HASH_BITS + 1, STEP_BITS):
         bucket = F.shiftright("h", HASH_BITS - used)
-        inside = rows if used == STEP_BITS else rows.join(F.broadcast(state.select(F.col("source").alias("s"), "prefix")), F.col("source").eqNullSafe(F.col("s")) & (F.shiftright("h", HASH_BITS - used + STEP_BITS) == F.col("prefix"))).drop("s", "prefix")
+        inside = rows if used == STEP_BITS else rows.join(small(state.select(F.col("source").alias("s"), "prefix")), F.col("source").eqNullSafe(F.col("s")) & (F.shiftright("h", HASH_BITS - used + STEP_BITS) == F.col("prefix"))).drop("s", "prefix")
         hist = inside.groupBy("source", bucket.alias("b")).agg(F.sum("size").alias("words"))
         w = Window.partitionBy("source").orderBy("b")
         run = hist.withColumn("upto", F.sum("words").over(w))
-        found = run.join(F.broadcast(state.select(F.col("source").alias("s"), "left")), F.col("source").eqNullSafe(F.col("s")))
+        found = run.join(small(state.select(F.col("source").alias("s"), "left")), F.col("source").eqNullSafe(F.col("s")))
         # the first bucket that the need does not cover whole
         first = found.where(F.col("upto") > F.col("left")).groupBy("source").agg(F.min_by(F.struct("b", "words", (F.col("left") - F.col("upto") + F.col("words")).alias("left")), "b").alias("x"))
         state = first.select("source", F.col("x.b").alias("prefix"), F.col("x.left").alias("left"), F.col("x.words").alias("at"))
@@ -76,6 +83,19 @@ def _thresholds(rows: DataFrame, need: DataFrame) -> DataFrame:
     return state.select("source", F.col("prefix").alias("cut"), "left", "at")
 
 
+def _with_source(rows: DataFrame, table: DataFrame) -> DataFrame:
+    """Rows with the values of their source (column s of a table of one row for each source).
+
+    A table of at most BROADCAST_SOURCES rows travels to the rows.  A larger one meets them
+    by source and salt, so a source of any share of the rows is dealt out.
+    """
+    if _few(table):
+        return rows.join(F.broadcast(table), F.col("source").eqNullSafe(F.col("s")))
+    salted = rows.withColumn("_salt", F.pmod("h", F.lit(SALTS)).cast("int"))
+    spread = table.withColumn("_s", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+    return salted.join(spread, F.col("source").eqNullSafe(F.col("s")) & (F.col("_salt") == F.col("_s"))).drop("_salt", "_s")
+
+
 def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS, share: float = SHARE, ceiling: float = CEILING) -> DataFrame:
     """The input's columns behind those of the mix: _size, _source_size, _target, _taken, _copies.
 
@@ -94,8 +114,7 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     cuts = _thresholds(slim.where("size > 0"), goals)
     table = goals.join(cuts.withColumnRenamed("source", "s"), F.col("source").eqNullSafe(F.col("s")), "left").drop("s")
     table = cut(table.select("source", "source_size", "target", "full", "need", "cut", "left", "at")).withColumnRenamed("source", "s")
-    # one row for each source; the sources that a mix weighs are a stated list, not data that grows
-    joined = rows.join(F.broadcast(table), F.col("source").eqNullSafe(F.col("s")))
+    joined = _with_source(rows, table)
     under = F.when(F.col("cut").isNull(), F.when(F.col("need") > 0, F.col("size")).otherwise(F.lit(0))).when(F.col("h") < F.col("cut"), F.col("size"))
     part = under.when(F.col("h") == F.col("cut"), F.floor(F.col("size") * F.col("left") / F.col("at"))).otherwise(F.lit(0)).cast("long")
     more = F.when((part > 0) & (part * 2 >= F.col("size")), F.lit(1)).otherwise(F.lit(0))

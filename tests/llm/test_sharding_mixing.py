@@ -86,3 +86,12 @@ def test_targets_and_sums(spark, prose):
         assert all(abs(r._target - want[s]) < 1e-6 * want[s] for r in mine)
         assert abs(sum(r._taken for r in mine) - want[s]) <= 2
         assert abs(sum(r._copies * r._size for r in mine) - want[s]) <= 50
+
+
+def test_many_sources_mix_the_same_without_a_broadcast(spark, prose, monkeypatch):
+    rows = [(i, prose(3 + i % 17), f"s{i % 40}" if i % 3 else None) for i in range(400)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, source string")
+    cols = ("row.doc_id", "_size", "_source_size", "_target", "_taken", "_copies")
+    want = sorted(map(tuple, mixing.mix(docs).select(*cols).collect()))
+    monkeypatch.setattr(mixing, "BROADCAST_SOURCES", 5)
+    assert sorted(map(tuple, mixing.mix(docs).select(*cols).collect())) == want
