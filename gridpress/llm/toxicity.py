@@ -326,7 +326,7 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", tex
     """
     ship(docs.sparkSession)
     ids = labelled_ids(labels, "toxic", 1, toxic).union(labelled_ids(labels, "toxic", 0, clean))
-    rows = sample_texts(docs, ids, id_col, text_col).dropDuplicates(["doc_id"]).select("doc_id", "y", "text").toArrow().sort_by("doc_id")
+    rows = sample_texts(docs, ids, id_col, text_col).groupBy("doc_id").agg(F.min(F.struct("text", "y")).alias("r")).select("doc_id", "r.y", "r.text").toArrow().sort_by("doc_id")
     y = rows["y"].to_numpy().astype(np.int64)
     if not y.any() or y.all():
         return None

@@ -89,3 +89,18 @@ def test_long_labelled_texts_are_learnt_from(spark, monkeypatch):
     assert toxicity.fit_toxicity(spark.createDataFrame(rows, "doc_id long, text string"), labels) is not None
     learnt = [i for i, _ in rows if zlib.crc32(str(i).encode()) % 5]
     assert met == [(len(learnt), sum(i % 3 == 0 for i in learnt))]
+
+
+def test_queries_on_the_given_table(spark):
+    """Held-out accuracy of both queries over whole documents and labels."""
+    from gridpress.llm.queries import QUERIES
+
+    small = "/root/testdata/sf0.01"
+    labels = {r.doc_id: r for r in spark.read.parquet(f"{small}/labels.parquet").collect()}
+    n = spark.read.parquet(f"{small}/documents.parquet").count()
+    for name, column, least in (("op1_pu_quality", "quality", 0.97), ("op8_toxicity", "toxic", 0.93)):
+        rows = QUERIES[name](spark, small).collect()
+        assert len(rows) == n and all(0 <= r.score <= 1 for r in rows)
+        assert all(r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 5 == 0) for r in rows)
+        held = [(r.predicted, labels[r.doc_id][column]) for r in rows if r.held_out and r.doc_id in labels and labels[r.doc_id][column] is not None]
+        assert len(held) > 40 and np.mean([a == b for a, b in held]) >= least, name

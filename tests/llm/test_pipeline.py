@@ -35,5 +35,75 @@ def test_near_dedup_compares_different_texts_under_one_id(spark):
     assert sorted(map(tuple, got)) == sorted([(2, words[0]), (4, words[1]), (4, words[2]), (4, words[3])])
 
 
+def test_stages_equal_plain_versions(spark):
+    """Each stage over its own input against the same rule in one process."""
+    import hashlib
+    import re
+    from collections import Counter
+
+    import pyarrow as pa
+    import sentencepiece
+
+    from gridpress.llm import pu_quality, toxicity
+    from gridpress.llm.queries import piece_model_path
+
+    tiny = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{tiny}/documents.parquet")
+    labels = spark.read.parquet(f"{tiny}/labels.parquet")
+    stages = dict(corpus_pipeline.STAGES)
+    pull = lambda df: {r.doc_id: r for r in df.collect()}
+
+    before = pull(docs)
+    texts = pa.array([r.text for r in before.values()], pa.string())
+    net = toxicity.fit_toxicity(docs, labels)
+    fine = toxicity._sig(toxicity.document_logits(net, texts)) < toxicity.THRESHOLD if net else [True] * len(before)
+    kept = stages["toxicity"](spark, docs, tiny).cache()
+    assert set(pull(kept)) == {i for i, ok in zip(before, fine, strict=True) if ok}
+
+    before, fitted = pull(kept), pu_quality.fit_quality(kept, labels)
+    texts = pa.array([r.text for r in before.values()], pa.string())
+    score = pu_quality.sigmoid(fitted[0].logit(pu_quality.features(texts).astype(float))) if fitted else [1.0] * len(before)
+    good = stages["quality"](spark, kept, tiny).cache()
+    assert set(pull(good)) == {i for i, x in zip(before, score, strict=True) if x >= pu_quality.THRESHOLD}
+
+    before = pull(good)
+    words = {i: (r.text or "").lower().split() for i, r in before.items()}
+    sets = {i: {tuple(w[j : j + 5]) for j in range(max(1, len(w) - 4))} if w else {i} for i, w in words.items()}
+    root = {i: i for i in sets}
+    for _ in range(20):
+        for a in sorted(sets):
+            for b in sorted(sets):
+                if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b]):
+                    root[a] = root[b] = min(root[a], root[b])
+    unique = stages["near_dedup"](spark, good, tiny).cache()
+    assert set(pull(unique)) == {i for i in root if root[i] == i}
+
+    before = pull(unique)
+    size = {i: len(re.findall(r"[^\x20\x09-\x0D]+", r.text or "")) for i, r in before.items()}
+    by = Counter()
+    for i, r in before.items():
+        by[r.source] += size[i]
+    order = sorted(by, key=lambda x: (x is None, (x or "").encode()))
+    weight, open_, target, goal = {s: (3, 1, 2)[k % 3] for k, s in enumerate(order)}, set(order), {}, 1.5 * sum(by.values())
+    while open_:
+        level = (goal - sum(target.values())) / sum(weight[s] for s in open_)
+        over = {s for s in open_ if weight[s] * level > 2 * by[s]}
+        target |= {s: 2.0 * by[s] for s in over} if over else {s: weight[s] * level for s in open_}
+        open_ -= over or open_
+    mixed = stages["mixing"](spark, unique, tiny).cache()
+    times = Counter(r.doc_id for r in mixed.collect())
+    assert max(times.values()) <= 2
+    for s in order:
+        got = sum(size[i] * n for i, n in times.items() if before[i].source == s)
+        assert abs(got - target[s]) <= max([size[i] for i, r in before.items() if r.source == s])
+
+    library = sentencepiece.SentencePieceProcessor(model_file=piece_model_path())
+    coded = stages["encoding"](spark, mixed, tiny).collect()
+    assert Counter(r.doc_id for r in coded) == times
+    for r in coded:
+        ids = [*library.encode(before[r.doc_id].text or ""), library.eos_id()]
+        assert r.ids_sha256 == hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest()
+
+
 def test_oracles_name_queries():
     assert set(ORACLES) <= set(QUERIES) and len(QUERIES) == 10
