@@ -17,7 +17,7 @@ import heapq
 import re
 import struct
 from functools import lru_cache
-from itertools import accumulate
+from itertools import accumulate, chain
 
 import numpy as np
 import pyarrow as pa
@@ -29,6 +29,8 @@ from gridpress.session import arrow_rows, ship
 SPACE = "▁"
 NORMAL, UNKNOWN, CONTROL, USER, UNUSED, BYTE = 1, 2, 3, 4, 5, 6
 MEMO_ENTRIES = 300_000
+#: parts merged side by side, and the longest of them; longer ones are merged by a heap
+ROWS, LONGEST = 16384, 64
 #: ids as decimals joined by a space, decoded surface, (first, end) source bytes of each piece as packed int32, source bytes
 Part = tuple[str, str, bytes, int]
 
@@ -132,11 +134,26 @@ class PieceModel:
         self.unused = {p for p, i in self.ids.items() if self.kinds[i] == UNUSED}
         self.memo: dict[str, Part] = {}
         self.pairs = {a + b for p in self.ids for a, b in zip(p, p[1:], strict=False)}
-        self.merger = None
         if self.cuts:
-            import sentencepiece
-
-            self.merger = sentencepiece.SentencePieceProcessor(model_proto=blob)
+            self._tabulate()
+
+    def _tabulate(self) -> None:
+        """Symbols and merges as arrays: a symbol is a piece, or a character that only longer pieces have."""
+        names = [p for p in self.ids if p in self.rank or len(p) == 1]
+        names += sorted({c for p in names for c in p} - set(names))
+        at = {p: i for i, p in enumerate(names)}
+        self.symbol_id = np.array([self.ids.get(p, -1) for p in names], np.int64)
+        # what may stand in a result as it is; the others are taken apart or fall back
+        self.plain = np.array([p in self.ids and self.kinds[self.ids[p]] == NORMAL for p in names])
+        self.symbol_size = np.array([len(p) for p in names], np.int32)
+        chars = {ord(p): i for p, i in at.items() if len(p) == 1}
+        self.char_code = np.array(sorted(chars), np.int64)
+        self.char_symbol = np.array([chars[c] for c in sorted(chars)], np.int32)
+        merges = sorted((at[p[:i]] * len(names) + at[p[i:]], at[p], self.rank[p]) for p in names if p in self.rank for i in range(1, len(p)) if p[:i] in at and p[i:] in at)
+        self.merge_key = np.array([m[0] for m in merges], np.int64)
+        self.merge_to = np.array([m[1] for m in merges], np.int32)
+        self.merge_score = np.array([m[2] for m in merges], np.float64)
+        self.decimal = [str(i) for i in range(len(self.pieces))]
 
     # ---- normalisation ----
 
@@ -298,20 +315,30 @@ class PieceModel:
             got = self.encode_spans(text)
             ids = [i for i, _, _ in got]
             return [(" ".join(map(str, ids)), self.surface(ids), np.array([s[1:] for s in got], "<i4").tobytes(), len(text.encode()))]
+        words = self.words(text)
+        self.learn(words)
+        return list(map(self.memo.__getitem__, words))
+
+    def words(self, text: str) -> list[str]:
+        """Source parts of a text that may be cut."""
+        if not text:
+            return []
         if SPACE in text or "  " in text or text[0] == " " or "\0" in text:
             words = re.findall(f"[ {SPACE}]*[^ {SPACE}\n]+|\n|[ {SPACE}]+", " " + text)
         else:  # a blank starts a new part, and so does what stands on either side of a line end
             words = (" " + text.replace(" ", "\0\0 ").replace("\n", "\0\0\n\0\0")).split("\0\0")
-        memo, words = self.memo, list(filter(None, words))
-        try:
-            return list(map(memo.__getitem__, words))
-        except KeyError:
-            missing = {w for w in words if w not in memo}
-            if len(memo) >= MEMO_ENTRIES:
-                memo.clear()
-                missing = set(words)
-            self._learn(missing)
-            return [memo[w] for w in words]
+        return list(filter(None, words))
+
+    def learn(self, words: list[str]) -> None:
+        """Know all source parts of a list; a memory that is full starts anew with them."""
+        memo = self.memo
+        missing = {w for w in words if w not in memo}
+        if not missing:
+            return
+        if len(memo) >= MEMO_ENTRIES:
+            memo.clear()
+            missing = set(words)
+        self._learn(sorted(missing, key=len))
 
     def spans(self, parts: list[Part]) -> np.ndarray:
         """(first, end) source bytes of the pieces of all parts of one text, from the parts' own offsets."""
@@ -324,50 +351,114 @@ class PieceModel:
         # the dummy prefix is before the first source byte and has no bytes of its own
         return np.maximum(found - 1, 0) if self.cuts else found
 
-    def _learn(self, words: set[str]) -> None:
-        """Align and encode source parts and remember them with their spans.
+    def _learn(self, words: list[str]) -> None:
+        """Align, merge and remember source parts with the spans of their pieces, many at once, shortest first."""
+        lo = 0
+        while lo < len(words):
+            # parts of about one length share a matrix
+            most = max(8, 2 * len(words[lo]))
+            hi = lo
+            while hi < len(words) and len(words[hi]) <= most and hi - lo < ROWS:
+                hi += 1
+            if len(words[lo]) > LONGEST:
+                hi = lo + 1
+                self._learn_one(words[lo])
+            else:
+                self._learn_rows(words[lo:hi])
+            lo = hi
 
-        A part is cut once more near its end where no piece spans the two characters.
-        What is normalised to one blank and a word goes to the library's merger in one
-        call; its own dummy prefix is that blank.  All else takes the merger above.
-        The library's pieces are placed by the alignment recorded here.
+    def _learn_one(self, word: str) -> None:
+        out, source, size = self.aligned(word)
+        got = self._placed(self.merge("".join(out)), [*source, size])
+        ids = [i for i, _, _ in got]
+        self.memo[word] = (" ".join(map(str, ids)), self.surface(ids), struct.pack(f"<{2 * len(got)}i", *[x for s in got for x in s[1:]]), size)
+
+    def _learn_rows(self, words: list[str]) -> None:
+        """The same for rows of a matrix: in each round every row merges its best pair, leftmost on ties.
+
+        Every character stands for itself here but for the blank, so a character's source
+        bytes follow from its code.
         """
-        memo, pairs = self.memo, self.pairs
-        cut: dict[str, int] = {}
-        whole: set[str] = set()
-        for w in words:
-            n = len(w)
-            for i in range(n - 1, max(1, n - 4), -1):
-                if w[i - 1 : i + 1].replace(" ", SPACE) not in pairs:
-                    cut[w] = i
-                    whole |= {w[:i], w[i:]}
+        size = np.fromiter(map(len, words), np.int64, len(words))
+        code = np.frombuffer("".join(words).encode("utf-32-le"), "<u4").astype(np.int64)
+        row = np.repeat(np.arange(len(words)), size)
+        first = np.cumsum(size) - size
+        col = np.arange(len(code)) - first[row]
+        # source byte that each character starts at, and each part's bytes
+        width = 1 + (code >= 0x80) + (code >= 0x800) + (code >= 0x10000)
+        ahead = np.concatenate([[0], np.cumsum(width)])
+        code = np.where(code == 0x20, ord(SPACE), code)
+        near = np.minimum(np.searchsorted(self.char_code, code), len(self.char_code) - 1)
+        symbol = np.where(self.char_code[near] == code, self.char_symbol[near], -1)
+        held = np.full((len(words), int(size.max())), -1, np.int64)
+        held[row, col] = symbol
+        left = size.copy()
+        odd = np.zeros(len(words), bool)  # rows with a character that no piece has
+        odd[row[symbol < 0]] = True
+        self._merge_rows(held, left, np.flatnonzero(~odd))
+        cell = np.arange(held.shape[1])[None, :] < left[:, None]
+        cell[odd] = False
+        odd[np.nonzero(cell)[0][~self.plain[held[cell]]]] = True
+        cell[odd] = False
+        got, count = held[cell], np.where(odd, 0, left)
+        # ends in characters, then in bytes of the part
+        ends = np.cumsum(self.symbol_size[got], dtype=np.int64)
+        start = np.cumsum(count) - count
+        owner = np.repeat(np.arange(len(words)), count)
+        ends = ends - np.concatenate([[0], ends])[start][owner] + first[owner]
+        pairs = np.empty((len(got), 2), "<i4")
+        pairs[:, 1] = ahead[ends] - ahead[first[owner]]
+        pairs[1:, 0] = pairs[:-1, 1]
+        pairs[start[count > 0], 0] = 0
+        raw = pairs.tobytes()
+        text = list(map(self.decimal.__getitem__, self.symbol_id[got].tolist()))
+        total = (ahead[first + size] - ahead[first]).tolist()
+        memo = self.memo
+        for w, lo, n, b in zip(words, start.tolist(), count.tolist(), total, strict=True):
+            if n:
+                memo[w] = (" ".join(text[lo : lo + n]), w.replace(SPACE, " "), raw[8 * lo : 8 * (lo + n)], b)
+        for i in np.flatnonzero(odd).tolist():
+            self._learn_one(words[i])
+
+    def _merge_rows(self, held: np.ndarray, left: np.ndarray, rows: np.ndarray) -> None:
+        """Merge the given rows of symbols in place; `left` is what each row still has."""
+        base = len(self.symbol_size)
+
+        def look(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            key = np.where((a < 0) | (b < 0), -1, a * base + b)
+            at = np.minimum(np.searchsorted(self.merge_key, key), len(self.merge_key) - 1)
+            hit = self.merge_key[at] == key
+            return np.where(hit, self.merge_score[at], -np.inf), np.where(hit, self.merge_to[at], -1)
+
+        if not len(rows) or held.shape[1] < 2 or not len(self.merge_key):
+            return
+        own = held[rows]
+        score, to = look(own[:, :-1], own[:, 1:])
+        live = np.arange(len(rows))
+        place = np.arange(own.shape[1])[None, :]
+        while len(live):
+            best = score.argmax(axis=1)
+            line = np.arange(len(live))
+            go = np.isfinite(score[line, best])
+            if not go.all():
+                done = live[~go]
+                held[rows[done]] = own[~go]
+                live, own, score, to, best = live[go], own[go], score[go], to[go], best[go]
+                line = np.arange(len(live))
+                if not len(live):
                     break
-            else:
-                whole.add(w)
-        aligned: dict[str, tuple[str, list[int], int]] = {}
-        for w in whole:
-            if w not in memo:
-                out, source, size = self.aligned(w)
-                aligned[w] = ("".join(out), [*source, size], size)
-        batch = [w for w, (t, _, _) in aligned.items() if t[0] == SPACE and len(t) > 1 and SPACE not in t[1:] and "\0" not in t] if self.merger else []
-        found = dict(zip(batch, self.merger.encode([aligned[w][0][1:] for w in batch], num_threads=1), strict=True)) if batch else {}
-        names, kinds = self.pieces, self.kinds
-        for w, (normal, source, size) in aligned.items():
-            ids = found.get(w)
-            if ids is None or any([kinds[i] != NORMAL for i in ids]):
-                got = self._placed(self.merge(normal), source)
-                ids = [i for i, _, _ in got]
-                memo[w] = (" ".join(map(str, ids)), self.surface(ids), struct.pack(f"<{2 * len(got)}i", *[x for s in got for x in s[1:]]), size)
-                continue
-            pieces = [names[i] for i in ids]
-            ends = [source[n] for n in accumulate(map(len, pieces))]
-            flat = [0] * (2 * len(ends))
-            flat[1::2], flat[2::2] = ends, ends[:-1]
-            memo[w] = (" ".join(map(str, ids)), "".join(pieces).replace(SPACE, " "), struct.pack(f"<{len(flat)}i", *flat), size)
-        for w, i in cut.items():
-            (ids, text, spans, size), (more, rest, others, length) = memo[w[:i]], memo[w[i:]]
-            moved = struct.unpack(f"<{len(others) // 4}i", others)
-            memo[w] = (f"{ids} {more}", text + rest, spans + struct.pack(f"<{len(moved)}i", *[x + size for x in moved]), size + length)
+            own[line, best] = to[line, best]
+            # what is behind the merged pair moves up by one
+            step = np.minimum(place + (place > best[:, None]), own.shape[1] - 1)
+            own = np.take_along_axis(own, step, 1)
+            left[rows[live]] -= 1
+            own[line, left[rows[live]]] = -1
+            after = np.minimum(step[:, : score.shape[1]], score.shape[1] - 1)
+            score, to = np.take_along_axis(score, after, 1), np.take_along_axis(to, after, 1)
+            for at in (best - 1, best):
+                ok = np.flatnonzero((at >= 0) & (at < score.shape[1]))
+                score[ok, at[ok]], to[ok, at[ok]] = look(own[ok, at[ok]], own[ok, at[ok] + 1])
+            score[:, -1] = np.where(own[:, -1] < 0, -np.inf, score[:, -1])
 
     # ---- decoding ----
 
@@ -412,7 +503,7 @@ def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", t
     """
     spark = docs.sparkSession
     ship(spark)
-    arrow_rows(spark)
+    arrow_rows(spark, 500)
     with open(model_path, "rb") as f:
         blob = f.read()
     key = docs.schema[id_col]
@@ -424,8 +515,13 @@ def encode_documents(docs: DataFrame, model_path: str, id_col: str = "doc_id", t
         tail = str(m.end_id)
         for b in batches:
             cols: list[list] = [[] for _ in out]
-            for text in b.column("_text"):
-                parts = m.parts(text.as_py() or "")
+            texts = [t or "" for t in b.column("_text").to_pylist()]
+            # the parts of all texts of a batch are learned side by side
+            words = [m.words(t) for t in texts] if m.cuts else None
+            if words:
+                m.learn(list(chain.from_iterable(words)))
+            for k, text in enumerate(texts):
+                parts = list(map(m.memo.__getitem__, words[k])) if words else m.parts(text)
                 line = " ".join([p[0] for p in parts])
                 line = f"{line} {tail}" if line else tail
                 decoded = "".join([p[1] for p in parts])

@@ -56,3 +56,25 @@ def test_documents_offer_spans(spark, messy):
         want = MODEL.encode_spans(texts[r.doc_id])
         assert list(zip(r.ids, r.span_start, r.span_end)) == want and r.ids[-1] == MODEL.end_id
         assert r.spans_sha256 == hashlib.sha256(b"".join(x.to_bytes(4, "little") for _, a, b in want for x in (a, b))).hexdigest()
+
+
+def test_whole_table_equals_the_library(spark):
+    """ids and decoded text of every document of a table, as the library gives them; spans cover each text's bytes."""
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    got = {r.doc_id: r for r in piece_codec.encode_documents(docs, piece_model_path(), with_spans=True).collect()}
+    rows = docs.select("doc_id", "text").collect()
+    assert len(got) == len(rows)
+    for doc_id, text in rows:
+        ids, r = [*LIBRARY.encode(text or ""), LIBRARY.eos_id()], got[doc_id]
+        assert r.n_tokens == len(ids) and r.ids_sha256 == hashlib.sha256(" ".join(map(str, ids)).encode()).hexdigest()
+        assert r.decoded_sha256 == hashlib.sha256(LIBRARY.decode(ids).encode()).hexdigest()
+        assert not r.span_end or (r.span_start[0] == 0 and r.span_end[-1] == len((text or "").encode()) and all(a <= b for a, b in zip(r.span_start, r.span_end, strict=True)))
+
+
+@settings(max_examples=100, deadline=None)
+@given(st.lists(st.text(alphabet="abcdefgh etaoinsr.ing", max_size=90), max_size=30))
+def test_parts_merged_side_by_side_equal_the_heap(texts):
+    MODEL.memo.clear()
+    MODEL.learn([w for t in texts for w in MODEL.words(t)])
+    for t in texts:
+        assert MODEL.encode(t, end=False) == [i for p in MODEL.merge(MODEL.normalise(t)[0]) for i in MODEL.piece_ids(p)]
