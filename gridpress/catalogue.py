@@ -6,6 +6,7 @@ import uuid
 from collections.abc import Callable
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -19,6 +20,7 @@ from gridpress.operators import relops, spectrum
 from gridpress.operators import resample as R
 from gridpress.operators import transform as X
 from gridpress.operators.codec import audit, compress, compress_array, decompress, decompress_array, ratio
+from gridpress.operators.entropy import CODERS, Model
 from gridpress.plans.grid import GridFrame, bin_month, bin_pct, bin_width, to_slabs
 from gridpress.plans.targets import ErrorTarget, grid_stats
 from gridpress.session import table
@@ -458,6 +460,17 @@ def _(s, d):
     return M.plane_profile(events_q(s, d), 0, 16).withColumns({"centroid": F.round("centroid", 4), "bits": F.round("bits", 3)})
 
 
+@q("worked_vector", "SELECT * FROM (VALUES (4, '0,6', '', 0, 1), (3, '2,3', '0', 1, 2), (2, '3,1', '00', 2, 3), (1, '0,2', '101', 3, 5), (0, '1', '01100', 5, 6)) t(plane, runs, verbatim, \"before\", \"after\")")
+def _(s, d):
+    """Seven coefficients of five bits, plane by plane: runs, bits sent as they are, and the mask's members around it."""
+    v = s.createDataFrame(list(enumerate((18, 3, 0, 9, 1, 6, 2))), "idx long, q long").withColumn("lead", P.lead_plane(F.col("q")))
+    runs = P.zero_runs(v, 0, 4).groupBy("plane").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("seq", "run"))), lambda x: x["run"].cast("string")), ",").alias("runs"))
+    planes = s.range(5).select(F.col("id").cast("int").alias("plane"))
+    seen = planes.join(v, F.col("lead") > F.col("plane"), "left").groupBy("plane").agg(F.array_sort(F.collect_list(F.when(F.col("idx").isNotNull(), F.struct("idx", P.bit(F.col("q"), F.col("plane")).alias("b"))))).alias("bits"))
+    bits = seen.select("plane", F.array_join(F.transform("bits", lambda x: x["b"].cast("string")), "").alias("verbatim"))
+    return runs.join(bits, "plane").join(P.mask_growth(v, range(5)).select("plane", F.col("before").cast("int").alias("before"), F.col("after").cast("int").alias("after")), "plane")
+
+
 @q("chunked_run_overhead")
 def _(s, d):
     e = events_q(s, d)
@@ -645,7 +658,7 @@ def _streamed(f: Callable[[DataFrame], DataFrame], name: str, mode: str = "compl
 _naive = lambda c: F.col(c).cast("timestamp_ntz").alias(c)
 q("stream_tumbling", "SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS n, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS cents FROM events GROUP BY ALL")(lambda s, d: _streamed(streaming.tumbling, "stream_tumbling")(s, d).select(_naive("start"), "event_type", "n", "cents"))
 q("stream_sliding", "SELECT date_trunc('hour', ts) - to_hours(k) AS start, count(*) AS n, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS cents FROM events CROSS JOIN (SELECT unnest(range(0, 2)) AS k) GROUP BY ALL")(lambda s, d: _streamed(streaming.sliding, "stream_sliding")(s, d).select(_naive("start"), "n", "cents"))
-q("stream_session", "WITH g AS (SELECT *, CASE WHEN ts < lag(ts) OVER w + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 30 MINUTE AS \"end\", count(*) AS n, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS cents FROM s GROUP BY user_id, k")(lambda s, d: streaming.sessions(t_(s, d, "events").withColumn("ts", F.col("ts").cast("timestamp")), late=None).select("user_id", _naive("start"), _naive("end"), "n", "cents"))
+q("stream_session", "WITH g AS (SELECT *, CASE WHEN ts < lag(ts) OVER w + INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, min(ts) AS start, max(ts) + INTERVAL 30 MINUTE AS \"end\", count(*) AS n, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS cents FROM s GROUP BY user_id, k")(lambda s, d: _streamed(streaming.sessions, "stream_session")(s, d).select("user_id", _naive("start"), _naive("end"), "n", "cents"))
 
 
 # ---- functions in SQL ----
@@ -668,6 +681,21 @@ def _(s, d):
     return s.sql(f"SELECT event_id, b.plane, b.bit FROM {view}, LATERAL bit_planes(v) b")
 
 
+@q("udtf_segments", f"WITH {_EV}, {_RUNS} SELECT plane, CAST(seq AS INT) AS seq, CAST(run AS BIGINT) AS run FROM runs")
+def _(s, d):
+    """Runs of each plane, coded as an archive's segments are and read back in SQL."""
+    G.register(s)
+    fields = "plane int, payload binary, symbols array<long>, freq array<long>"
+
+    def code(key: tuple, t: pa.Table) -> pa.Table:
+        runs = t.sort_by("seq")["run"].to_numpy()
+        m = Model.of(*np.unique(runs, return_counts=True))
+        return pa.table({"plane": pa.array([key[0].as_py()], pa.int32()), "payload": pa.array([CODERS["range"].encode(runs, m)], pa.binary()), "symbols": pa.array([m.symbols.tolist()], pa.list_(pa.int64())), "freq": pa.array([m.freq.tolist()], pa.list_(pa.int64()))})
+
+    P.zero_runs(events_q(s, d), 0, 16).groupBy("plane").applyInArrow(code, fields).createOrReplaceTempView(view := f"_segments_{uuid.uuid4().hex}")
+    return s.sql(f"SELECT plane, r.seq, r.run FROM {view}, LATERAL decode_segment(payload, symbols, freq, 'range') r")
+
+
 @q("sql_psnr", "SELECT event_type, round(20 * log10((max(value) - min(value)) / (2 * stddev_pop(value))), 6) AS db FROM events GROUP BY 1")
 def _(s, d):
     G.register(s)

@@ -11,7 +11,7 @@ from pyspark.sql import SparkSession
 from pyspark.sql import types as T
 from pyspark.sql.functions import arrow_udtf, pandas_udf, udtf
 
-from gridpress.operators.entropy import ideal_bits
+from gridpress.operators.entropy import CODERS, Model, ideal_bits
 from gridpress.operators.planes import lead_array, split_plane
 from gridpress.operators.resample import lanczos_taps
 
@@ -68,6 +68,18 @@ class ZeroRuns:
             yield seq + 1, run
 
 
+@udtf(returnType=T.StructType([T.StructField("seq", T.IntegerType()), T.StructField("run", T.LongType())]))
+class DecodeSegment:
+    """(seq, run) of the runs that an archive's segment holds, from its bytes, its model and the coder's name."""
+
+    def eval(self, payload: bytes, symbols: list, freq: list, coder: str):
+        if payload is None:
+            return
+        model = Model(np.array(symbols, np.int64), np.array(freq, np.int64))
+        for k, r in enumerate(CODERS[coder].decode(bytes(payload), model)):
+            yield k + 1, int(r)
+
+
 @udtf(returnType=T.StructType([T.StructField("j", T.IntegerType()), T.StructField("tap", T.DoubleType())]))
 class LanczosTaps:
     def eval(self, k: int):
@@ -99,7 +111,7 @@ def register(spark: SparkSession) -> None:
     ship(spark)
     for name, f in (("float_exponent", float_exponent), ("lead_plane", lead_plane_udf), ("entropy_bits", entropy_bits_udaf), ("gram_entry", gram_entry_udaf)):
         spark.udf.register(name, f)
-    for name, f in (("bit_planes", BitPlanes), ("zero_runs", ZeroRuns), ("lanczos_taps", LanczosTaps), ("vector_runs", VectorRuns)):
+    for name, f in (("bit_planes", BitPlanes), ("zero_runs", ZeroRuns), ("lanczos_taps", LanczosTaps), ("vector_runs", VectorRuns), ("decode_segment", DecodeSegment)):
         spark.udtf.register(name, f)
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION psnr_db(span DOUBLE, rmse DOUBLE) RETURNS DOUBLE RETURN CASE WHEN rmse > 0 AND span > 0 THEN 20 * log10(span / (2 * rmse)) END")
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION quantise_bits(v DOUBLE, e INT) RETURNS BIGINT RETURN CAST(floor(abs(v) * power(2, e)) AS BIGINT)")

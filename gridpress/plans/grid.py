@@ -18,6 +18,8 @@ from pyspark.sql import types as T
 
 #: grids of at most so many lattice points may be held by one process
 LOCAL_CELLS = 1 << 21
+#: bytes of one block: what a value of an Arrow column may hold, with room
+BLOCK_LIMIT = (1 << 31) - (1 << 16)
 
 
 @dataclass(frozen=True)
@@ -113,6 +115,8 @@ def to_slabs(grid: GridFrame, axis: int, per_slab: int) -> DataFrame:
     """(slab, lo, block): blocks of `per_slab` indices along `axis`, all other axes whole, C order; one shuffle."""
     spec = grid.spec
     s, n = spec.strides[axis], spec.shape[axis]
+    if 8 * per_slab * (spec.cells // n) > BLOCK_LIMIT:
+        raise ValueError("a slab is too large for one block")
     at = F.pmod(F.floor(F.col("idx") / s), F.lit(n))
     cells = grid.df.select(F.floor(at / per_slab).cast("int").alias("slab"), "idx", F.col("v").cast("double").alias("v"))
     every = grid.df.sparkSession.range(-(-n // per_slab)).select(F.col("id").cast("int").alias("slab"), F.lit(None).cast("long").alias("idx"), F.lit(None).cast("double").alias("v"))

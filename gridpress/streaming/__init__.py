@@ -23,6 +23,17 @@ def event_stream(spark: SparkSession, folder: str, per_trigger: int = 1) -> Data
     return raw.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
+def rate_stream(spark: SparkSession, rows_per_batch: int, start_ms: int = 0, step_ms: int = 1000) -> DataFrame:
+    """Cells from the rate source: a time and a value by rule; each batch moves on by a step of time."""
+    raw = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", rows_per_batch).option("startTimestamp", start_ms).option("advanceMillisPerBatch", step_ms).load()
+    return raw.select(F.col("timestamp").alias("ts"), F.col("value").alias("idx"), (F.col("value") % 97).cast("double").alias("v"))
+
+
+def with_static(df: DataFrame, table: DataFrame, on: str) -> DataFrame:
+    """Stream-static join: each row with the attributes that a table has for its key, null where it has none."""
+    return df.join(table, on, "left")
+
+
 def cents(df: DataFrame) -> DataFrame:
     return df.withColumn("cents", F.round(F.col("value") * 100).cast("long"))
 
@@ -114,3 +125,8 @@ def drain(query_of: DataFrame, name: str, mode: str = "append", checkpoint: str
     if checkpoint:
         w = w.option("checkpointLocation", checkpoint)
     w.start().awaitTermination()
+
+
+def to_parquet(df: DataFrame, path: str, checkpoint: str) -> None:
+    """Run a stream over what is there into Parquet files; with the same checkpoint nothing is written twice."""
+    df.writeStream.format("parquet").outputMode("append").option("path", path).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()

@@ -196,3 +196,15 @@ def test_rank_cut_is_flat():
     v = [M.psnr_arrays(a, rank_cut.decompress(rank_cut.compress(a, energy_tail=t))) for t in (1e-4, 1e-6, 1e-9, 1e-12)]
     assert abs(v[-1] - v[-2]) < 1.0 and v[0] <= v[-1] + 1
     assert M.psnr_arrays(a, rank_cut.decompress(rank_cut.compress(a, energy_tail=1e-6, quantiser="log"))) > 20
+
+
+def test_blocks_decode_alone():
+    from gridpress.baselines import block_xform
+
+    a = GRIDS["cosines"]
+    z = block_xform.compress(a, 1e-4)
+    whole = block_xform.decompress(z)
+    for at in ((0, 0, 0), (4, 4, 3), (2, 1, 0)):
+        box = tuple(slice(4 * i, 4 * i + 4) for i in at)
+        assert np.array_equal(block_xform.block_at(z, at), whole[box])
+    assert np.allclose(block_xform.BASIS @ block_xform.BASIS.T, np.eye(4))

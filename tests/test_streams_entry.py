@@ -91,3 +91,37 @@ def test_clicks_join_purchases(spark, events):
     c, p = e.where("event_type = 'click'").alias("c"), e.where("event_type = 'purchase'").alias("p")
     want = c.join(p, F.expr("c.user_id = p.user_id AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 24 HOURS")).count()
     assert spark.table("click_out").count() == want
+
+
+def test_rate_source_parquet_sink_and_static_join(spark, events, tmp_path):
+    # a table meets the stream, null where it has no row; nothing is written twice under one checkpoint
+    users = spark.createDataFrame([(u, f"u{u}") for u in range(0, 2000, 2)], "user_id long, name string")
+    for _ in range(2):
+        joined = streaming.with_static(streaming.event_stream(spark, events), users, "user_id").select("event_id", "user_id", "name")
+        streaming.to_parquet(joined, str(tmp_path / "out"), str(tmp_path / "ck"))
+    got = spark.read.parquet(str(tmp_path / "out")).collect()
+    assert len(got) == spark.read.parquet(events).count()
+    assert all((r.name is None) if r.user_id % 2 else (r.name == f"u{r.user_id}" or r.user_id >= 2000) for r in got)
+    q = streaming.rate_stream(spark, 50).writeStream.format("memory").queryName("rate_out").start()
+    while spark.table("rate_out").count() < 100:
+        q.awaitTermination(1)
+    q.stop()
+    rows = spark.table("rate_out").collect()
+    assert all(r.v == r.idx % 97 for r in rows) and len({r.idx for r in rows}) == len(rows)
+
+
+def test_rows_behind_the_watermark_are_left_out(spark, tmp_path):
+    import datetime as dt
+
+    at = lambda h, m=0: dt.datetime(2024, 1, 1, h, m)
+    # 2:00 comes after the watermark of an earlier batch has passed it; 8:30 does not
+    parts = [[(1, at(1)), (2, at(9))], [(3, at(8, 30))], [(4, at(2)), (5, at(14))]]
+    fields = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
+    (tmp_path / "in").mkdir()
+    for k, part in enumerate(parts):
+        spark.createDataFrame([(i, t, 1, "view", 1.0, None) for i, t in part], fields).coalesce(1).write.parquet(str(tmp_path / f"p{k}"))
+        shutil.copy(next((tmp_path / f"p{k}").glob("*.parquet")), tmp_path / f"in/{k}.parquet")
+    s = streaming.tumbling(streaming.event_stream(spark, str(tmp_path / "in")), "1 hour", "1 hour")
+    streaming.to_parquet(s, str(tmp_path / "out"), str(tmp_path / "ck"))
+    got = {r.start.hour: r.n for r in spark.read.parquet(str(tmp_path / "out")).collect()}
+    assert got == {1: 1, 9: 1, 8: 1}
