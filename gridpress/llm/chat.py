@@ -2,7 +2,9 @@
 
 A batch of turns becomes one byte buffer: lengths of headers, contents and
 footers give cumulative offsets; headers and contents are copied to their places
-by scatter indices, and the buffer is the Arrow string column.  Control strings inside texts
+by scatter indices, and the buffer is the Arrow string column as it is.  Roles and
+texts are escaped as columns, too; no turn is a Python object on the way.  Only a
+conversation that goes on over the end of a batch is put together from parts.  Control strings inside texts
 are escaped reversibly: a backslash-like mark follows `<|` and an escaped `<|`
 can be told from a real one.
 
@@ -21,12 +23,15 @@ import re
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from gridpress.session import arrow_rows, ship
 
 OPEN, CLOSE = "<|im_start|>", "<|im_end|>\n"
+#: bytes of one result batch: a string column has 32-bit offsets
+MOST = 1 << 30
 _GUARD = re.compile(r"<(\\*)\|")
 _UNGUARD = re.compile(r"<(\\*)\\\|")
 # a content that ends in "<" and backslashes would meet the "<" of CLOSE, never a "|": no guard is needed there
@@ -49,17 +54,32 @@ def unescape_role(role: str) -> str:
     return re.sub(r"\\(.)", lambda m: "\n" if m[1] == "n" else m[1], unescape(role))
 
 
-def assemble(roles: list[str], texts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def _escaped(column: pa.Array) -> pa.Array:
+    return pc.replace_substring_regex(column, r"<(\\*)\|", r"<\1\\|")
+
+
+def _bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """(lengths, bytes) of a large string column without nulls."""
+    n = len(column)
+    _, at, data = column.buffers()
+    at = np.frombuffer(at, np.int64, n + 1, 8 * column.offset) if n else np.zeros(1, np.int64)
+    return np.diff(at), np.frombuffer(data, np.uint8)[at[0] : at[-1]] if data is not None and at[-1] > at[0] else np.zeros(0, np.uint8)
+
+
+def assemble(roles: pa.Array, texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """One buffer of all turns: (bytes, turn offsets, content start, content end)."""
-    parts = [[(OPEN + escape_role(r) + "\n").encode() for r in roles], [escape(t).encode() for t in texts], [CLOSE.encode()] * len(roles)]
-    size = np.array([[len(x) for x in p] for p in parts], dtype=np.int64).reshape(3, -1).T  # turns x parts
+    roles, texts = roles.cast(pa.large_string()), texts.cast(pa.large_string())
+    named = _escaped(pc.replace_substring(pc.replace_substring(roles, "\\", "\\\\"), "\n", "\\n"))
+    heads = pc.binary_join_element_wise(pa.scalar(OPEN, pa.large_string()), named, pa.scalar("\n", pa.large_string()), pa.scalar("", pa.large_string()))
+    foot = np.frombuffer(CLOSE.encode(), np.uint8)
+    parts = [_bytes(heads), _bytes(_escaped(texts)), (np.full(len(roles), len(foot)), np.tile(foot, len(roles)))]
+    size = np.array([p[0] for p in parts], dtype=np.int64).T  # turns x parts
     ends = np.cumsum(size.ravel()).reshape(size.shape)
     starts = ends - size
     out = np.empty(int(ends[-1, 2]) if len(ends) else 0, np.uint8)
-    for k, p in enumerate(parts):
-        flat = np.frombuffer(b"".join(p), np.uint8)
-        lead = np.cumsum(size[:, k]) - size[:, k]
-        at = np.arange(len(flat)) + np.repeat(starts[:, k] - lead, size[:, k])
+    for k, (length, flat) in enumerate(parts):
+        lead = np.cumsum(length) - length
+        at = np.arange(len(flat)) + np.repeat(starts[:, k] - lead, length)
         out[at] = flat
     return out, np.append(starts[:, 0], len(out)), starts[:, 1], ends[:, 1]
 
@@ -81,7 +101,8 @@ def format_conversations(turns: DataFrame, loss_role: str = "assistant") -> Data
     """conv_id, formatted, n_turns, loss_starts, loss_ends (byte spans under the loss mask) of each conversation.
 
     Turns are dealt by conversation and sorted, and a partition streams through
-    in batches; only the conversation at hand is held, which is one row of the result.
+    in batches; only the conversation at hand is held, which is one row of the result
+    (a row of a string column has at most 2 GB, and so has a conversation).
     """
     spark = turns.sparkSession
     ship(spark)
@@ -96,47 +117,55 @@ def format_conversations(turns: DataFrame, loss_role: str = "assistant") -> Data
 
         key_type = to_arrow_type(ids)
 
-        def flush(held):
-            keys, bufs = [], []
-            n_turns, l_start, l_end = [], [], []
-            for key, blocks in held:
-                keys.append(key)
-                joined, base, s, e, n = [], 0, [], [], 0
-                for data, mask, cs, ce, count in blocks:
-                    joined.append(data)
-                    s.append(cs[mask] + base)
-                    e.append(ce[mask] + base)
-                    base += len(data)
-                    n += count
-                bufs.append(np.concatenate(joined))
-                n_turns.append(n)
-                l_start.append(np.concatenate(s))
-                l_end.append(np.concatenate(e))
-            offsets = np.cumsum([0, *map(len, bufs)]).astype(np.int64)
-            text = pa.Array.from_buffers(pa.large_string(), len(keys), [None, pa.py_buffer(offsets), pa.py_buffer(np.concatenate(bufs))]).cast(pa.string())
-            spans = [pa.ListArray.from_arrays(pa.array(np.cumsum([0, *map(len, x)]).astype(np.int32)), pa.array(np.concatenate(x).astype(np.int64))) for x in (l_start, l_end)]
-            return pa.RecordBatch.from_arrays([pa.array(keys, key_type), text, pa.array(n_turns, pa.int64()), *spans], names=["conv_id", "formatted", "n_turns", "loss_starts", "loss_ends"])
-
-        held: list = []
+        def batch(keys, data, at, n_turns, owner, first, last):
+            """Conversations that lie one after the other in a buffer; spans by conversation, from its start."""
+            offsets = (at - at[0]).astype(np.int32)
+            text = pa.Array.from_buffers(pa.string(), len(keys), [None, pa.py_buffer(offsets), pa.py_buffer(data[at[0] : at[-1]])])
+            edge = pa.array(np.searchsorted(owner, np.arange(len(keys) + 1)).astype(np.int32))
+            spans = [pa.ListArray.from_arrays(edge, pa.array(x - at[owner])) for x in (first, last)]
+            return pa.RecordBatch.from_arrays([keys, text, pa.array(n_turns, pa.int64()), *spans], names=["conv_id", "formatted", "n_turns", "loss_starts", "loss_ends"])
+
+        def alone(held):
+            """The one conversation that several batches gave parts of."""
+            key, blocks = held
+            at = np.cumsum([0, *(len(x[0]) for x in blocks)])
+            first, last = (np.concatenate([x[k] + a for x, a in zip(blocks, at, strict=False)]) for k in (1, 2))
+            return batch(key, np.concatenate([x[0] for x in blocks]), at[[0, -1]], [sum(x[3] for x in blocks)], np.zeros(len(first), np.int64), first, last)
+
+        held = None
         for b in batches:
-            if not len(b):
+            n = len(b)
+            if not n:
                 continue
-            keys, roles, texts = (b.column(c).to_pylist() for c in ("conv_id", "role", "text"))
-            data, turn_at, cs, ce = assemble(roles, texts)
-            mask = np.array([r == loss_role for r in roles])
-            cuts = [0, *(i for i in range(1, len(keys)) if keys[i] != keys[i - 1]), len(keys)]
-            for lo, hi in zip(cuts, cuts[1:], strict=False):
-                base = turn_at[lo]
-                block = (data[base : turn_at[hi]], mask[lo:hi], cs[lo:hi] - base, ce[lo:hi] - base, hi - lo)
-                if held and held[-1][0] == keys[lo]:
-                    held[-1][1].append(block)
-                else:
-                    held.append((keys[lo], [block]))
-            if len(held) > 1:
-                yield flush(held[:-1])
-                held = held[-1:]
-        if held:
-            yield flush(held)
+            keys = b.column("conv_id").cast(key_type)
+            data, turn_at, cs, ce = assemble(b.column("role"), b.column("text"))
+            loss = pc.equal(b.column("role"), loss_role).to_numpy(zero_copy_only=False)
+            same = pc.equal(keys[1:], keys[:-1]).fill_null(False).to_numpy(zero_copy_only=False) | (keys[1:].is_null().to_numpy(zero_copy_only=False) & keys[:-1].is_null().to_numpy(zero_copy_only=False))
+            cuts = np.concatenate([[0], np.flatnonzero(~same) + 1, [n]])
+
+            def part(lo, hi):
+                m, base = np.flatnonzero(loss[lo:hi]) + lo, turn_at[lo]
+                return data[base : turn_at[hi]], cs[m] - base, ce[m] - base, hi - lo
+
+            lo = 0
+            if held is not None and held[0][0].as_py() == keys[0].as_py():
+                held[1].append(part(0, cuts[1]))
+                lo = 1
+            if held is not None and len(cuts) - 1 > lo:
+                yield alone(held)
+                held = None
+            # whole conversations of this batch, as many at once as 32-bit offsets allow; the last one may go on
+            while lo < len(cuts) - 2:
+                hi = max(lo + 1, int(np.searchsorted(turn_at[cuts], turn_at[cuts[lo]] + MOST, side="right")) - 1)
+                hi = min(hi, len(cuts) - 2)
+                c = cuts[lo : hi + 1]
+                m = np.flatnonzero(loss[c[0] : c[-1]]) + c[0]
+                yield batch(keys.take(pa.array(c[:-1])), data, turn_at[c], np.diff(c), np.searchsorted(c, m, side="right") - 1, cs[m], ce[m])
+                lo = hi
+            if lo == len(cuts) - 2:
+                held = (keys.slice(cuts[lo], 1), [part(cuts[lo], n)])
+        if held is not None:
+            yield alone(held)
 
     return order.mapInArrow(run, f"conv_id {kind}, formatted string, n_turns long, loss_starts array<long>, loss_ends array<long>")
 

@@ -97,3 +97,29 @@ def test_conversations(spark):
     assert got[1].loss_chars == len(evil) and got[1].loss_sha256 == hashlib.sha256(evil.encode()).hexdigest()
     assert got[2].n_turns == 2 and got[3].n_turns == 2 and got[None].n_turns == 1
     assert chat.format_conversations(df.limit(0)).count() == 0
+
+
+def test_long_and_split_conversations(spark, monkeypatch):
+    """Texts over many batches, a conversation that goes on over batch ends, and results cut by size."""
+    monkeypatch.setattr(chat, "arrow_rows", lambda s, n: s.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7"))
+    monkeypatch.setattr(chat, "MOST", 500)
+    rows = [(c, t, ("user", "assistant", "a\\\nb<|")[t % 3], ("<|x|>" * (t % 5)) + ("y<\\|é" * c if t % 4 else "z" * 200_000)) for c in range(12) for t in range(1 + 3 * c)]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    got = {r.conv_id: r for r in chat.digests(chat.format_conversations(df)).collect()}
+    assert len(got) == 12
+    for c in range(12):
+        mine = [r for r in rows if r[0] == c]
+        assert got[c].n_turns == len(mine)
+        assert got[c].turns_sha256 == hashlib.sha256("".join(f"{r}\n{x}\n" for _, _, r, x in mine).encode()).hexdigest()
+        said = "".join(x for _, _, r, x in mine if r == "assistant")
+        assert got[c].loss_chars == len(said) and got[c].loss_sha256 == hashlib.sha256(said.encode()).hexdigest()
+
+
+@given(st.lists(st.tuples(st.text(alphabet="<|\\\nab", max_size=8), st.text(alphabet="<|\\im_start>é\n", max_size=30)), max_size=6))
+def test_columns_are_escaped_like_texts(turns):
+    import pyarrow as pa
+
+    data, at, first, last = chat.assemble(pa.array([r for r, _ in turns], pa.string()), pa.array([t for _, t in turns], pa.string()))
+    want = [f"{chat.OPEN}{chat.escape_role(r)}\n{chat.escape(t)}{chat.CLOSE}".encode() for r, t in turns]
+    raw = data.tobytes()
+    assert raw == b"".join(want) and [raw[a:b].decode() for a, b in zip(first, last, strict=True)] == [chat.escape(t) for _, t in turns]
