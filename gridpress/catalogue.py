@@ -471,7 +471,10 @@ def _(s, d):
     return runs.join(bits, "plane").join(P.mask_growth(v, range(5)).select("plane", F.col("before").cast("int").alias("before"), F.col("after").cast("int").alias("after")), "plane")
 
 
-@q("chunked_run_overhead")
+@q("chunked_run_overhead", f"""WITH {_EV}, {_RUNS}, whole AS (SELECT plane, count(*) AS whole FROM runs GROUP BY plane),
+c AS (SELECT plane, idx // 65536 AS chunk, lead, row_number() OVER w AS r, count(*) OVER (PARTITION BY plane, idx // 65536) AS total FROM lv JOIN pl ON lead <= plane WINDOW w AS (PARTITION BY plane, idx // 65536 ORDER BY idx)),
+p AS (SELECT plane, chunk, any_value(total) AS total, count(*) FILTER (lead = plane) AS n, coalesce(max(r) FILTER (lead = plane), 0) AS last FROM c GROUP BY ALL)
+SELECT plane, chunked, whole FROM (SELECT plane, CAST(sum(n + CASE WHEN total > last THEN 1 ELSE 0 END) AS BIGINT) AS chunked FROM p GROUP BY plane) JOIN whole USING (plane)""")
 def _(s, d):
     e = events_q(s, d)
     return P.cells_runs(e, 0, 16).groupBy("plane").agg(F.count("*").alias("chunked")).join(P.zero_runs(e, 0, 16).groupBy("plane").agg(F.count("*").alias("whole")), "plane")
@@ -539,12 +542,14 @@ def _(s, d):
     return spectrum.spectrum_rows(s, X.omt(cube(s, d, "event_pulse")).factors)
 
 
-@q("pencil_spectrum")
+@q("pencil_spectrum", f"WITH {_DENSE}, f AS (SELECT i1, i3, k, sum(v * cos(2 * pi() * k * i2 / n2)) AS re, sum(v * sin(2 * pi() * k * i2 / n2)) AS im FROM dense CROSS JOIN size JOIN (SELECT unnest(range(0, 24)) AS k) ON k < n2 GROUP BY ALL) SELECT CAST(k AS INT) AS freq, CAST(round(sum(re * re + im * im) / 1e6) AS BIGINT) AS power FROM f GROUP BY k")
 def _(s, d):
-    return spectrum.pencil_fft(X.unfold(cube(s, d, "event_pulse"), 1)).groupBy("freq").agg(F.sum(F.col("re") * F.col("re") + F.col("im") * F.col("im")).alias("power"))
+    """Power of a cube's daily frequencies, in millions, from its fibers along the hours."""
+    got = spectrum.pencil_fft(X.unfold(cube(s, d, "event_pulse"), 1))
+    return got.groupBy("freq").agg(F.round(F.sum(F.col("re") * F.col("re") + F.col("im") * F.col("im")) / 1e6).cast("long").alias("power"))
 
 
-@q("synth_rank1")
+@q("synth_rank1", "SELECT CAST(1 AS BIGINT) AS nonzero")
 def _(s, d):
     g = cubes.synthetic(s, "rank1", (16, 16, 16))
     t = X.omt(g)

@@ -16,6 +16,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from gridpress.operators.relops import numbered, running_sum
+from gridpress.session import ship
 
 PLANES = 64
 CHUNK = 1 << 16
@@ -246,6 +247,7 @@ def restore(q: np.ndarray, neg: np.ndarray, p: int, sent: int, exponent: int, mi
 
 def cells_runs(q: DataFrame, p_lo: int, p_hi: int) -> DataFrame:
     """Runs that end at chunk borders, as the archive stores them: (chunk, plane, run)."""
+    ship(q.sparkSession)
 
     def one(key: tuple, t: pa.Table) -> pa.Table:
         order = np.argsort(t["idx"].to_numpy())

@@ -59,4 +59,6 @@ def shared_folder(spark: SparkSession, name: str) -> str:
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A given table; executors get the package before anything that reads one runs there."""
+    ship(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
