@@ -20,6 +20,8 @@ without both labels to learn from all scores are 0.
 
 from __future__ import annotations
 
+import gc
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -330,7 +332,12 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", tex
     y = rows["y"].to_numpy().astype(np.int64)
     if not y.any() or y.all():
         return None
-    return train(rows["text"].cast(pa.large_string()).combine_chunks(), y)
+    net = train(rows["text"].cast(pa.large_string()).combine_chunks(), y)
+    # what learning held goes back to the system: the driver plans later stages beside it
+    del rows, y
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    return net
 
 
 def score_toxicity(docs: DataFrame, net: Network | None, id_col: str = "doc_id", text_col: str = "text", threshold: float = THRESHOLD) -> DataFrame:
