@@ -125,3 +125,23 @@ def test_rows_behind_the_watermark_are_left_out(spark, tmp_path):
     streaming.to_parquet(s, str(tmp_path / "out"), str(tmp_path / "ck"))
     got = {r.start.hour: r.n for r in spark.read.parquet(str(tmp_path / "out")).collect()}
     assert got == {1: 1, 9: 1, 8: 1}
+
+
+def test_sessions_are_written_by_executors_and_whole(spark, tmp_path):
+    """All sessions, those open at the end and of rows out of order in several files too, and none by a table on the driver."""
+    import datetime as dt
+
+    import duckdb
+
+    from gridpress.catalogue import ORACLES, QUERIES
+
+    at = lambda m: dt.datetime(2024, 1, 1) + dt.timedelta(minutes=m)
+    rows = [(i, at(m), u, "view", i + 0.25, None) for i, (m, u) in enumerate([(600, 1), (5, 1), (20, 1), (50, 1), (51, 2), (595, 1), (1439, 3), (1440, 3), (0, 2)])]
+    fields = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
+    spark.createDataFrame(rows, fields).repartition(3).write.parquet(str(tmp_path / "events.parquet"))
+    spark.sql("DROP VIEW IF EXISTS stream_session")
+    got = QUERIES["stream_session"](spark, str(tmp_path)).collect()
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM read_parquet('{tmp_path}/events.parquet/*.parquet')")
+    assert sorted(map(tuple, got)) == sorted(con.execute(ORACLES["stream_session"]).fetchall()) and len(got) == 6
+    assert not spark.catalog.tableExists("stream_session")
