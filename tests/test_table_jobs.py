@@ -1,5 +1,7 @@
 """Queries whose data used to be made up read given tables, and equal their SQL."""
 
+import math
+
 import duckdb
 
 from gridpress.catalogue import ORACLES, QUERIES
@@ -27,3 +29,8 @@ def test_rle_string_of_events(spark):
     rows = [("01100010", [1, 0, 3, 1]), ("0000", [4]), ("111", [0, 0, 0]), ("1", [0]), ("", [])]
     df = spark.createDataFrame(rows, "bits string, want array<int>")
     assert all(r.runs == r.want for r in df.select("want", P.rle_bits(P.F.col("bits")).alias("runs")).collect())
+
+
+def test_rank_one_grid_of_events(spark):
+    (ones, peak), = same(spark, "synth_rank1", "events")
+    assert ones == 1 and math.isfinite(peak)
