@@ -34,3 +34,11 @@ def test_rle_string_of_events(spark):
 def test_rank_one_grid_of_events(spark):
     (ones, peak), = same(spark, "synth_rank1", "events")
     assert ones == 1 and math.isfinite(peak)
+
+
+def test_worked_vectors_of_orders(spark):
+    assert len(same(spark, "worked_vector", "lineitem")) > 1000
+    v = spark.createDataFrame([(0, i, q) for i, q in enumerate((18, 3, 0, 9, 1, 6, 2))] + [(1, 0, 0)], "k long, i int, q long").withColumn("lead", P.lead_plane(P.F.col("q")))
+    got = P.worked(v.groupBy("k").agg(P.F.array_sort(P.F.collect_list(P.F.struct("i", "q", "lead"))).alias("v")), "k").collect()
+    want = [(4, "0,6", "", 0, 1), (3, "2,3", "0", 1, 2), (2, "3,1", "00", 2, 3), (1, "0,2", "101", 3, 5), (0, "1", "01100", 5, 6)]
+    assert sorted(tuple(r)[1:] for r in got) == sorted(want) and {r.k for r in got} == {0}
