@@ -20,6 +20,9 @@ FLAT = RNG.normal(size=(1600, 6)) @ RNG.normal(size=(6, 6)) + 0.3
 #: a column of zeros, rows of zeros, and one column twice
 POOR = np.concatenate([FLAT[:, :3], np.zeros((1600, 1)), FLAT[:, :1]], axis=1) * (np.arange(1600) < 1300)[:, None]
 
+#: slabs without a 1 in the first planes of others
+UNEVEN = FLAT * np.where(np.arange(1600) < 800, 1.0, 1e-3)[:, None]
+
 
 @pytest.fixture
 def small(monkeypatch):
@@ -32,7 +35,7 @@ def test_which_axis():
     assert L.long_axis((500, 64)) is None and L.long_axis((1000, 1200, 64)) is None and L.long_axis((1 << 20, 1 << 12)) is None
 
 
-@pytest.mark.parametrize("a", [MIXED, FLAT, POOR], ids=["mixed", "flat", "poor"])
+@pytest.mark.parametrize("a", [MIXED, FLAT, POOR, UNEVEN], ids=["mixed", "flat", "poor", "uneven"])
 def test_curve_of_slabs_is_that_of_the_array(spark, small, a):
     """Before, curves refused such grids as too large to be held by one process."""
     psnrs = (20.0, 45.0)
